@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, token_orc
+from . import bpe, ngram_jaccard, token_orc
 from .common import Scratch, documents
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -35,5 +35,11 @@ def op5_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-QUERIES = {"op1_token_orc": op1_token_orc, "op5_bpe": op5_bpe}
+def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Components of documents whose sets of 3-word shingles have a Jaccard similarity of 0.9 or more."""
+    scratch = Scratch(spark)
+    return scratch.finish(ngram_jaccard.jaccard_components(documents(spark, sf_dir), scratch=scratch))
+
+
+QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op5_bpe": op5_bpe}
 ORACLES: dict[str, str] = {}
