@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, ngram_jaccard, token_orc
+from . import bpe, ngram_jaccard, substring_dedup, token_orc
 from .common import Scratch, documents
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -41,5 +41,12 @@ def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scratch.finish(ngram_jaccard.jaccard_components(documents(spark, sf_dir), scratch=scratch))
 
 
-QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op5_bpe": op5_bpe}
+def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each document without the words of 20-word windows that begin earlier too."""
+    scratch = Scratch(spark)
+    kept = substring_dedup.dedup_substrings(documents(spark, sf_dir), scratch=scratch)
+    return scratch.finish(kept.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256")))
+
+
+QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op5_bpe": op5_bpe, "op9_substring_dedup": op9_substring_dedup}
 ORACLES: dict[str, str] = {}
