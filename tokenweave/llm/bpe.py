@@ -20,6 +20,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import Kept
+
 #: Pieces that a merge never crosses: fixed by the format of byte-level BPE files.
 PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
 #: A blank between two white-space characters (or before the end): there a text can't be cut at blanks.
@@ -27,7 +29,7 @@ INNER_BLANK = re.compile(r"\s (?:\s|\Z)")
 #: Python's white space (re, str) and the pieces' \s (regex) differ in these only; texts with them aren't cut.
 SEPARATORS = re.compile("[\x1c-\x1f]")
 #: Parts of texts that a worker keeps, and texts encoded at once.
-CACHED, STEP = 800_000, 256
+CACHED, STEP = 800_000, 128
 
 
 def byte_letters() -> list[str]:
@@ -45,20 +47,6 @@ def blank_cut(text: str) -> list[str] | None:
     return None if INNER_BLANK.search(text) or SEPARATORS.search(text) else text.split(" ")
 
 
-class Kept(dict):
-    """What a function gives for each key asked for; it starts anew at ``limit`` keys, which changes only the time."""
-
-    def __init__(self, make, limit: int):
-        super().__init__()
-        self.make, self.limit = make, limit
-
-    def __missing__(self, key: str) -> bytes:
-        if len(self) >= self.limit:
-            self.clear()
-        self[key] = found = self.make(key)
-        return found
-
-
 class MergeCoder:
     """Encoder and decoder for one vocabulary file."""
 
@@ -72,8 +60,10 @@ class MergeCoder:
         self.special = {x["content"]: x["id"] for x in data["added_tokens"]}
         pairs = [x.split(" ") if isinstance(x, str) else x for x in model["merges"]]
         self.left, self.right, self.made = ([self.ids[w] for w in ws] for ws in ([a for a, _ in pairs], [b for _, b in pairs], [a + b for a, b in pairs]))
-        #: Rank of a pair of ids, which stand together in one integer.
-        self.rank = {a << 32 | b: k for k, (a, b) in enumerate(zip(self.left, self.right))}
+        #: For each left symbol the ranks of its merges by right symbol.
+        self.rank: list[dict[int, int]] = [{} for _ in range(1 + max(self.ids.values()))]
+        for k, (a, b) in enumerate(zip(self.left, self.right)):
+            self.rank[a][b] = k
         self.first = [self.ids[c] for c in self.letters]
         self.cut_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         size = 1 + max([*self.ids.values(), *self.special.values()])
@@ -88,10 +78,15 @@ class MergeCoder:
     def merge(self, piece: str) -> list[int]:
         """Token ids of one piece. A queue entry is a merge rank and, in the low half, the position of its left symbol."""
         symbols = [self.first[b] for b in piece.encode("utf-8", "surrogatepass")]
-        n, rank = len(symbols), self.rank.get
-        if n == 1:
-            return symbols
-        queue = [r << 32 | k for k in range(n - 1) if (r := rank(symbols[k] << 32 | symbols[k + 1])) is not None]
+        n, rank = len(symbols), self.rank
+        shift = 12 if n < 4096 else 32  # entries of usual pieces are small integers
+        low = (1 << shift) - 1
+        queue, a = [], symbols[0]
+        for k in range(1, n):
+            b = symbols[k]
+            if (r := rank[a].get(b)) is not None:
+                queue.append(r << shift | k - 1)
+            a = b
         if not queue:
             return symbols
         heapq.heapify(queue)
@@ -99,36 +94,38 @@ class MergeCoder:
         after, before = list(range(1, n + 1)), list(range(-1, n - 1))
         while queue:
             entry = pop(queue)
-            r, k = entry >> 32, entry & 0xFFFFFFFF
+            r, k = entry >> shift, entry & low
             j = after[k]
             if j >= n or symbols[k] != left[r] or symbols[j] != right[r]:
                 continue  # stale: one of the two has been merged since
-            symbols[k], symbols[j] = new, _ = made[r], -1
+            symbols[k] = new = made[r]
+            symbols[j] = -1
             after[k] = m = after[j]
+            ranks = rank[new]
             if m < n:
                 before[m] = k
-                if (r := rank(new << 32 | symbols[m])) is not None:
-                    push(queue, r << 32 | k)
-            if (i := before[k]) >= 0 and (r := rank(symbols[i] << 32 | new)) is not None:
-                push(queue, r << 32 | i)
+                if (r := ranks.get(symbols[m])) is not None:
+                    push(queue, r << shift | k)
+            if (i := before[k]) >= 0 and (r := rank[symbols[i]].get(new)) is not None:
+                push(queue, r << shift | i)
         return [s for s in symbols if s >= 0]
 
-    def _plain(self, text: str) -> bytes:
-        parts = blank_cut(text)
-        if parts is None:
+    def _pieces(self, text: str) -> bytes:
+        """Ids of a text piece by piece, special tokens apart."""
+        if self.cut_special is None or not self.cut_special.search(text):
             return b"".join(map(self.pieces.__getitem__, PIECES.findall(text)))
-        return b"".join(map(self.pieces.__getitem__, PIECES.findall(parts[0]))) + b"".join(map(self.units.__getitem__, parts[1:]))
+        return b"".join(self.special[p].to_bytes(4, "little") if p in self.special else b"".join(map(self.pieces.__getitem__, PIECES.findall(p))) for p in self.cut_special.split(text))
 
-    def encode_bytes(self, text: str | None) -> bytes:
-        """Ids of a text as little-endian 32-bit integers; null has none."""
-        if not text:
-            return b""
-        if self.cut_special is None or not self.cut_special.search(text):
-            return self._plain(text)
-        return b"".join(self.special[p].to_bytes(4, "little") if p in self.special else self._plain(p) for p in self.cut_special.split(text))
+    def encode_all(self, texts: list[str | None]) -> list[bytes]:
+        """Ids of each text as little-endian 32-bit integers; null has none."""
+        texts = [t or "" for t in texts]
+        parts = [None if self.cut_special and self.cut_special.search(t) else blank_cut(t) for t in texts]
+        first = [self._pieces(t if p is None else p.pop(0)) for t, p in zip(texts, parts)]
+        unit = self.units.__getitem__
+        return [f + b"".join(map(unit, p)) if p else f for f, p in zip(first, parts)]
 
     def encode(self, text: str | None) -> list[int]:
-        return np.frombuffer(self.encode_bytes(text), "<u4").tolist()
+        return np.frombuffer(self.encode_all([text])[0], "<u4").tolist()
 
     def decode(self, ids) -> str:
         """The text of ids; bytes that aren't UTF-8 become U+FFFD, and ids outside the vocabulary nothing."""
@@ -165,7 +162,7 @@ def encode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
         for batch in batches:
             for at in range(0, len(batch), STEP):
                 part = batch.slice(at, STEP)
-                yield pa.RecordBatch.from_arrays([part.column(0), id_lists([make.encode_bytes(t) for t in part.column(1).to_pylist()])], [id_col, "ids"])
+                yield pa.RecordBatch.from_arrays([part.column(0), id_lists(make.encode_all(part.column(1).to_pylist()))], [id_col, "ids"])
 
     return df.select(F.col(id_col), F.col(text_col)).mapInArrow(run, schema)
 

@@ -114,13 +114,64 @@ def gram_hashes(hashes: np.ndarray, n: int) -> np.ndarray:
     return mix(out)
 
 
-class BoundedCache(dict):
-    """A dict that forgets everything once it holds ``limit`` keys; what it gives is the same either way."""
+def char_grams(words: list[str], sizes: tuple[int, ...], bits: int, edges: str = "<>") -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of all character n-grams of words between edge marks, and the words' positions in them (one more than words).
 
-    def __init__(self, limit: int):
+    A gram that holds an edge mark is an affix. All words are hashed at once over their code points.
+    """
+    marked = [edges[0] + w + edges[1] for w in words]
+    points = np.frombuffer("".join(marked).encode("utf-32-le", "surrogatepass"), "<u4").astype(U64)
+    length = np.fromiter(map(len, marked), np.int64, len(marked))
+    owner, last = np.repeat(np.arange(len(marked)), length), np.repeat(np.cumsum(length), length)
+    buckets, owners = [], []
+    for n in sizes:
+        if len(points) >= n:
+            value = np.full(len(points) - n + 1, n, U64)
+            for k in range(n):
+                value = value * MIX_A + points[k : len(points) - n + 1 + k]
+            inside = np.arange(len(value)) + n <= last[: len(value)]
+            buckets.append((mix(value[inside]) & U64((1 << bits) - 1)).astype(np.int64))
+            owners.append(owner[: len(value)][inside])
+    if not buckets:
+        return np.empty(0, np.int64), np.zeros(len(words) + 1, np.int64)
+    buckets, owners = np.concatenate(buckets), np.concatenate(owners)
+    order = np.argsort(owners, kind="stable")
+    return buckets[order], np.searchsorted(owners[order], np.arange(len(words) + 1))
+
+
+def sum_runs(rows: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """Sums of consecutive runs of rows; ``starts`` has the runs' first rows and, last, the number of rows."""
+    out = np.zeros((len(starts) - 1, rows.shape[1]), rows.dtype)
+    full = np.flatnonzero(starts[1:] > starts[:-1])
+    if len(full):
+        out[full] = np.add.reduceat(rows, starts[full], 0)
+    return out
+
+
+class Kept(dict):
+    """What a function gives for each key asked for; it starts anew at ``limit`` keys, which changes only the time."""
+
+    def __init__(self, make, limit: int):
         super().__init__()
-        self.limit = limit
+        self.make, self.limit = make, limit
 
-    def room(self) -> None:
+    def __missing__(self, key):
         if len(self) >= self.limit:
             self.clear()
+        self[key] = found = self.make(key)
+        return found
+
+
+def labelled_sample(docs: DataFrame, labels: DataFrame, limit: int, seed: int = 7) -> list[tuple]:
+    """``(id, text, label)`` of about ``limit`` labelled documents, chosen by a hash of the id alone, in id order.
+
+    ``labels``: ``doc_id, label``, no nulls; of an id's labels the largest holds. The sample's size is the bound on
+    what goes to the driver and on what is broadcast to find the sample's texts.
+    """
+    labels = labels.where("doc_id IS NOT NULL AND label IS NOT NULL").groupBy("doc_id").agg(F.max("label").alias("label"))
+    n = labels.count()
+    share = int(min(1.0, limit / max(n, 1)) * 2**31)
+    chosen = labels.where(F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(2**31)) < share)
+    rows = docs.select("doc_id", "text").where("text IS NOT NULL").join(F.broadcast(chosen.withColumnRenamed("doc_id", "id")), F.col("doc_id") == F.col("id")).select("doc_id", "text", "label")
+    table = rows.toArrow()
+    return sorted(zip(*(table.column(k).to_pylist() for k in range(3))), key=lambda r: (r[0], r[1]))

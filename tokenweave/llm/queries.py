@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, ngram_jaccard, substring_dedup, token_orc
-from .common import Scratch, documents
+from . import bpe, language_crf, ngram_jaccard, quality, substring_dedup, token_orc, toxicity
+from .common import Scratch, crc32_mod, documents
 
 TOKENIZER = "byte_bpe_50k.json"
 
@@ -41,6 +41,36 @@ def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scratch.finish(ngram_jaccard.jaccard_components(documents(spark, sf_dir), scratch=scratch))
 
 
+def op4_language_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Language of every document, learned from those whose id's checksum isn't 2 modulo 4."""
+    docs = documents(spark, sf_dir)
+    model = language_crf.fit(docs, docs.where(crc32_mod("doc_id", 4) != 2).select("doc_id", F.col("lang").alias("label")))
+    return language_crf.predict(docs, model).select("doc_id", (crc32_mod("doc_id", 4) == 2).alias("held_out"), "lang_pred", "score")
+
+
+def _judged(docs: DataFrame, score, fold) -> DataFrame:
+    found = docs.select("doc_id", fold.alias("held_out"), score.alias("score"))
+    return found.select("doc_id", "held_out", "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
+
+
+def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality of every document, learned from labels whose id's checksum isn't 1 modulo 3."""
+    docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    model = quality.fit(docs, labels.where(crc32_mod("doc_id", 3) != 1).select("doc_id", F.col("quality").alias("label")))
+    return _judged(docs, quality.scored(docs, model), crc32_mod("doc_id", 3) == 1)
+
+
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity of every document, learned from labels whose id's checksum isn't 0 modulo 5."""
+    docs = documents(spark, sf_dir)
+    return _judged(docs, toxicity.scored(docs, toxicity_model(spark, docs, sf_dir)), crc32_mod("doc_id", 5) == 0)
+
+
+def toxicity_model(spark: SparkSession, docs: DataFrame, sf_dir: str) -> toxicity.ToxicityModel:
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    return toxicity.fit(docs, labels.where(crc32_mod("doc_id", 5) != 0).select("doc_id", F.col("toxic").alias("label")))
+
+
 def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each document without the words of 20-word windows that begin earlier too."""
     scratch = Scratch(spark)
@@ -48,5 +78,5 @@ def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scratch.finish(kept.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256")))
 
 
-QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op5_bpe": op5_bpe, "op9_substring_dedup": op9_substring_dedup}
+QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op4_language_crf": op4_language_crf, "op5_bpe": op5_bpe, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op9_substring_dedup": op9_substring_dedup}
 ORACLES: dict[str, str] = {}

@@ -11,66 +11,97 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .bpe import CACHED, STEP, blank_cut, id_lists
+from .bpe import CACHED, INNER_BLANK, SEPARATORS, STEP, byte_letters, id_lists
 
-#: White space that parts joined for the library are told apart by.
-BETWEEN = "\x0b"
+#: A byte that no letter's UTF-8 has: words joined for the library are told apart by it.
+BORDER = 0x0B
+#: Marks whose run after a letter is a piece of its own, so that a word and the marks after it are encoded apart.
+MARKS = ".,;:!?$%&*#|"
 #: Bytes of a stripe, and rows between two entries of its row index.
 STRIPE, STRIDE = 16 << 20, 1000
 
 
 class LibraryCoder:
-    """The tokenizers library, asked once for each part between blanks (merges never cross those)."""
+    """The tokenizers library, asked once for each part between blanks in a line (merges never cross those).
 
-    def __init__(self, path: str):
-        from tokenizers import Tokenizer
+    New words of letters alone, which are one piece each, go to the library together: its model encodes them
+    with a border character between them that is a token of its own. All else takes its usual way.
+    """
 
-        self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.no_padding()
-        self.tokenizer.no_truncation()
-        self.special = [x.content for x in self.tokenizer.get_added_tokens_decoder().values()]
-        self.between = self.tokenizer.encode(BETWEEN, add_special_tokens=False).ids
+    def __init__(self, path: str):
+        from tokenizers import Regex, Tokenizer, pre_tokenizers
+
+        self.usual, self.words = Tokenizer.from_file(path), Tokenizer.from_file(path)
+        for x in (self.usual, self.words):
+            x.no_padding()
+            x.no_truncation()
+        self.special = [x.content for x in self.usual.get_added_tokens_decoder().values()]
+        self.letters = byte_letters()
+        self.border = self.letters[BORDER]
+        self.words.pre_tokenizer = pre_tokenizers.Split(Regex(self.border), "isolated")
+        self.border_id = self.words.token_to_id(self.border)
         self.cache: dict[str, bytes] = {}
-
-    def _ids(self, texts: list[str]) -> list[np.ndarray]:
-        return [np.array(x.ids, "<u4") for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        self.marks: dict[str, bytes] = {}
+        self.begins: dict[str, bytes] = {}  # of parts that begin a line, without a blank
+        self.newline = self._ask(["\n"])[0]
 
     def _ask(self, texts: list[str]) -> list[bytes]:
-        """Short texts without white space at their ends go as one text, with a white space character between them.
-
-        That character is one token and a piece of its own there, so that the ids can be parted again.
-        """
-        out, plain = [b""] * len(texts), []
-        for k, t in enumerate(texts):
-            if t:
-                plain.append(k) if len(self.between) == 1 and len(t) < 100 and BETWEEN not in t and not t[-1].isspace() and t[1:2].strip() else out.__setitem__(k, self._ids([t])[0].tobytes())
-        if plain:
-            ids = self._ids([BETWEEN.join(texts[k] for k in plain)])[0]
-            cuts = np.flatnonzero(ids == self.between[0])
-            if len(cuts) + 1 != len(plain):
-                raise ValueError("the tokenizer doesn't keep the separator apart")
-            ends = np.append(cuts, len(ids)) * 4
-            starts, raw = np.append(0, ends[:-1] + 4), ids.tobytes()
-            for k, a, b in zip(plain, starts.tolist(), ends.tolist()):
-                out[k] = raw[a:b]
-        return out
+        return [np.array(x.ids, "<u4").tobytes() for x in self.usual.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _ask_words(self, words: list[str]) -> list[bytes]:
+        """Ids of each word with a blank in front."""
+        if not words:
+            return []
+        blank, letters = self.letters[0x20], self.letters
+        spelt = [blank + (w if w.isascii() else "".join([letters[b] for b in w.encode()])) for w in words]
+        ids = np.array(self.words.encode_batch_fast([self.border.join(spelt)], add_special_tokens=False)[0].ids, "<u4")
+        cuts = np.flatnonzero(ids == self.border_id)
+        starts, ends, raw = (np.append(0, cuts + 1) * 4).tolist(), (np.append(cuts, len(ids)) * 4).tolist(), ids.tobytes()
+        return [raw[a:b] for a, b in zip(starts, ends, strict=True)]
+
+    def _learn(self, new: set[str]) -> None:
+        """Put new parts, which have a blank in front, into the cache."""
+        cache = self.cache
+        split = {x: word for x in new if (word := x.rstrip(MARKS)).isalpha()}
+        words = list(set(split.values()).difference(cache))
+        cache.update(zip(words, self._ask_words(words)))
+        for x, word in split.items():
+            if x != word:
+                mark = x[len(word) :]
+                if mark not in self.marks:
+                    self.marks[mark] = self._ask([mark])[0]
+                cache[x] = cache[word] + self.marks[mark]
+        other = list(new.difference(split))
+        cache.update(zip(other, self._ask([" " + x for x in other])))
 
     def encode_all(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as little-endian 32-bit integers; null has none."""
-        texts = [t or "" for t in texts]
-        parts = [None if any(x in t for x in self.special) else blank_cut(t) for t in texts]
-        cache, out = self.cache, self._ask([t if p is None else p[0] for t, p in zip(texts, parts)])
+        cache, begins = self.cache, self.begins
         if len(cache) >= CACHED:
             cache.clear()
-        found = [p and list(map(cache.get, p[1:])) for p in parts]
-        new = list({x for p, f in zip(parts, found) if p and None in f for x, y in zip(p[1:], f) if y is None})
-        fresh = dict(zip(new, self._ask([" " + x for x in new])))
-        cache.update(fresh)
-        for k, (p, f) in enumerate(zip(parts, found)):
-            if p:
-                if None in f:
-                    f = [fresh[x] if y is None else y for x, y in zip(p[1:], f)]
-                out[k] += b"".join(f)
+        if len(begins) >= CACHED // 8:
+            begins.clear()
+        lines, sizes, out = [], [], []
+        for text in texts:
+            own = text.split("\n") if text else []
+            if any(x in text for x in self.special) or SEPARATORS.search(text) or not all(x and not x[0].isspace() and not x[-1].isspace() and not INNER_BLANK.search(x) for x in own) if text else False:
+                own = None
+            sizes.append(-1 if own is None else len(own))
+            lines += own or ()
+        parts = [x.split(" ") for x in lines]
+        first = [p.pop(0) for p in parts]
+        new = list(set(first).difference(begins))
+        begins.update(zip(new, self._ask(new)))
+        found = [list(map(cache.get, p)) for p in parts]
+        holes = [k for k, f in enumerate(found) if None in f]
+        self._learn({x for k in holes for x, y in zip(parts[k], found[k]) if y is None})
+        for k in holes:
+            found[k] = [cache[x] if y is None else y for x, y in zip(parts[k], found[k])]
+        coded = [begins[x] + b"".join(f) for x, f in zip(first, found)]
+        at = 0
+        for text, n in zip(texts, sizes):
+            out.append(self._ask([text])[0] if n < 0 else self.newline.join(coded[at : at + n]))
+            at += max(n, 0)
         return out
 
 
@@ -80,7 +111,7 @@ def library_coder(path: str) -> LibraryCoder:
 
 
 def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text", partitions: int | None = None, compression: str = "zstd") -> None:
-    """Encode every text and write ``doc_id, file_no, file_start, ids`` as ORC in ascending order of the id.
+    """Encode every text and write ``doc_id, file_no, file_start, n_ids, ids`` as ORC in ascending order of the id.
 
     Files follow each other in id order (null ids first); ``file_start`` counts the ids of a file before the
     document and ``file_no`` numbers the files, so that any stripe can be placed without reading another one.
@@ -89,7 +120,7 @@ def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int = 0, id_c
     """
     rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     ranged = (rows.repartitionByRange(partitions, "doc_id") if partitions else rows.repartitionByRange("doc_id")).sortWithinPartitions("doc_id", F.xxhash64("text"))
-    schema = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("file_no", T.IntegerType()), T.StructField("file_start", T.LongType()), T.StructField("ids", T.ArrayType(T.IntegerType(), False))])
+    schema = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("file_no", T.IntegerType()), T.StructField("file_start", T.LongType()), T.StructField("n_ids", T.IntegerType()), T.StructField("ids", T.ArrayType(T.IntegerType(), False))])
     tail = int(end_id).to_bytes(4, "little")
 
     def run(batches):
@@ -101,14 +132,14 @@ def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int = 0, id_c
                 part = batch.slice(at, STEP)
                 ids = id_lists([x + tail for x in make.encode_all(part.column(1).to_pylist())])
                 ends = ids.offsets.to_numpy().astype(np.int64)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.full(len(part), number, np.int32)), pa.array(before + ends[:-1]), ids], schema.names)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.full(len(part), number, np.int32)), pa.array(before + ends[:-1]), pa.array(np.diff(ends).astype(np.int32)), ids], schema.names)
                 before += int(ends[-1])
 
     (ranged.mapInArrow(run, schema).write.option("orc.stripe.size", STRIPE).option("orc.row.index.stride", STRIDE).option("orc.create.index", "true")
      .option("orc.bloom.filter.columns", "doc_id").option("orc.bloom.filter.fpp", "0.01").option("orc.compress", compression.upper()).option("compression", compression).orc(path))
 
 
-TOKEN_SCHEMA = "doc_id long, file_no int, file_start long, ids array<int>"
+TOKEN_SCHEMA = "doc_id long, file_no int, file_start long, n_ids int, ids array<int>"
 
 
 def read_tokens(spark: SparkSession, path: str, doc_ids: list[int] | None = None) -> DataFrame:
@@ -134,11 +165,11 @@ def token_digests(spark: SparkSession, path: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(np.diff(at).astype(np.int64)), pa.array(sums, pa.int64())], schema.names)
 
     table = read_tokens(spark, path)
-    totals = sorted((r[0], r[1]) for r in table.groupBy("file_no").agg(F.max(F.col("file_start") + F.size("ids"))).collect())
+    totals = sorted((r[0], r[1]) for r in table.groupBy("file_no").agg(F.max(F.col("file_start") + F.col("n_ids"))).collect())
     starts, before = [], 0
     for number, n in totals:
         starts.append((number, before))
         before += n
     firsts = spark.createDataFrame(starts, "file_no int, first long")
-    rows = table.mapInArrow(run, schema)
+    rows = table.drop("n_ids").mapInArrow(run, schema)
     return rows.join(F.broadcast(firsts), "file_no").select("doc_id", (F.col("first") + F.col("file_start")).alias("start"), "n_tokens", "ids_crc32")
