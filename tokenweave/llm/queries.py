@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, language_crf, ngram_jaccard, quality, substring_dedup, token_orc, toxicity
+from . import ball_tree, bpe, decontaminate, language_crf, masked_lm, ngram_jaccard, quality, substring_dedup, token_orc, toxicity
 from .common import Scratch, crc32_mod, documents
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -41,6 +41,12 @@ def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scratch.finish(ngram_jaccard.jaccard_components(documents(spark, sf_dir), scratch=scratch))
 
 
+def op3_ball_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The five largest integer inner products of every fiftieth vector with all others."""
+    scratch = Scratch(spark)
+    return scratch.finish(ball_tree.top_products(spark.read.parquet(f"{sf_dir}/embeddings.parquet"), scratch=scratch))
+
+
 def op4_language_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Language of every document, learned from those whose id's checksum isn't 2 modulo 4."""
     docs = documents(spark, sf_dir)
@@ -71,6 +77,11 @@ def toxicity_model(spark: SparkSession, docs: DataFrame, sf_dir: str) -> toxicit
     return toxicity.fit(docs, labels.where(crc32_mod("doc_id", 5) != 0).select("doc_id", F.col("toxic").alias("label")))
 
 
+def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which documents hold which benchmark items, with substituted words allowed."""
+    return decontaminate.find_contaminated(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each document without the words of 20-word windows that begin earlier too."""
     scratch = Scratch(spark)
@@ -78,5 +89,23 @@ def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scratch.finish(kept.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept").cast("binary"), 256).alias("kept_sha256")))
 
 
-QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op4_language_crf": op4_language_crf, "op5_bpe": op5_bpe, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op9_substring_dedup": op9_substring_dedup}
-ORACLES: dict[str, str] = {}
+def op10_masked_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Masked pseudo-likelihood of every document under a network trained on all of them."""
+    docs = documents(spark, sf_dir)
+    return masked_lm.score(docs, masked_lm.fit(docs))
+
+
+QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op3_ball_tree": op3_ball_tree, "op4_language_crf": op4_language_crf, "op5_bpe": op5_bpe, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op8_decontaminate": op8_decontaminate, "op9_substring_dedup": op9_substring_dedup, "op10_masked_lm": op10_masked_lm}
+ORACLES: dict[str, str] = {
+    "op3_ball_tree": """
+        WITH usable AS (
+            SELECT vec_id, len(embedding) AS dim, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings
+            WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(embedding) > 0
+              AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+        scored AS (
+            SELECT q.vec_id AS query_id, c.vec_id AS vec_id, list_inner_product(q.v, c.v)::BIGINT AS score
+            FROM usable q JOIN usable c ON q.vec_id % 50 = 0 AND q.vec_id <> c.vec_id AND q.dim = c.dim)
+        SELECT query_id, rank::INT AS rank, vec_id, score
+        FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM scored) WHERE rank <= 5
+    """,
+}
