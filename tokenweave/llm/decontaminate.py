@@ -149,6 +149,14 @@ def find_contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id",
     return rows.mapInArrow(run, RESULT)
 
 
+def drop_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", **settings) -> DataFrame:
+    """The rows of ``docs``, all columns, that no item contaminates (see ``find_contaminated``)."""
+    keyed = docs.withColumn("row_key_", F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+    found = find_contaminated(keyed.select(F.col("row_key_").alias("doc_id"), F.col(text_col).alias("text")), items, **settings)
+    bad = found.where("contaminated").select(F.col("doc_id").alias("row_key_")).distinct()
+    return keyed.join(bad, "row_key_", "left_anti").drop("row_key_")
+
+
 def _joined(rows: DataFrame, items: DataFrame, item_id: str, item_text: str, share: float, least: int, shortest: int, masks: tuple[str, ...]) -> DataFrame:
     """The same for benchmarks of any size: seeds of both sides are shuffled and joined, then texts meet in pairs."""
     width = len(masks[0])

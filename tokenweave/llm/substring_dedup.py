@@ -111,7 +111,7 @@ class FingerprintIndex:
 
         return docs.select("doc", "tie", "text", "positions").mapInArrow(run, "doc long, tie long, one long, two long, start int")
 
-    def _judged(self, docs: DataFrame, carry: list[str]) -> DataFrame:
+    def _judged(self, docs: DataFrame, carry: list[str], unchanged: bool) -> DataFrame:
         """Kept words of each document, and which of its shared fingerprints still stand in a first window."""
         width, gram, extra = self.width, self.gram, [docs.schema[c] for c in carry]
         schema = T.StructType([T.StructField("doc", T.LongType()), T.StructField("tie", T.LongType()), *extra, T.StructField("n_words", T.LongType()), T.StructField("n_removed", T.LongType()), T.StructField("kept", T.StringType()), T.StructField("alive", T.ArrayType(T.IntegerType()))])
@@ -137,13 +137,13 @@ class FingerprintIndex:
                             near = np.searchsorted(np.sort(firsts), np.maximum(positions + gram - width, 0))
                             live = [p for p, k in zip(positions.tolist(), near.tolist()) if k < len(firsts) and np.sort(firsts)[k] <= p] if len(again) else positions.tolist()
                         n_removed.append(gone)
-                        kept.append(b" ".join(words).decode("utf-8", "surrogatepass"))
+                        kept.append(text if unchanged and not gone else b" ".join(words).decode("utf-8", "surrogatepass"))
                         alive.append(live)
                     yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), *[part.column(5 + k) for k in range(len(extra))], pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(kept, pa.string()), pa.array(alive, pa.list_(pa.int32()))], schema.names)
 
         return docs.select("doc", "tie", "text", "positions", "firsts", *carry).mapInArrow(run, schema)
 
-    def ingest(self, docs: DataFrame, carry: list[str] = (), last: bool = False) -> DataFrame:
+    def ingest(self, docs: DataFrame, carry: list[str] = (), last: bool = False, unchanged: bool = False) -> DataFrame:
         """``doc, tie, <carried>, n_words, n_removed, kept`` of a batch: ``doc, tie, text`` and carried columns.
 
         All its (doc, tie) must come after those of earlier batches. ``last``: no batch follows, so no run is written.
@@ -169,7 +169,7 @@ class FingerprintIndex:
         first = self._windows(texts).groupBy("one", "two").agg(F.min(F.struct("doc", "tie", "start")).alias("m")).select("m.doc", "m.tie", "m.start")
         firsts = first.groupBy(*key).agg(F.collect_list("start").alias("firsts"))
         marks = here.join(firsts, key, "left")
-        judged = scratch.save(self._judged(docs.join(marks, key, "left"), carry), "judged")
+        judged = scratch.save(self._judged(docs.join(marks, key, "left"), carry, unchanged), "judged")
         if not last:
             single = counted.where("n = 1").select("fp", *key, "pos")
             if old is not None:
@@ -190,12 +190,12 @@ class FingerprintIndex:
         self.runs = [self.scratch.save(merged.repartition("fp").sortWithinPartitions("fp"), "run")]
 
 
-def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 10, batches: int = 3, id_col: str = "doc_id", text_col: str = "text", carry: list[str] = (), scratch: Scratch | None = None) -> DataFrame:
+def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 10, batches: int = 3, id_col: str = "doc_id", text_col: str = "text", carry: list[str] = (), unchanged: bool = False, scratch: Scratch | None = None) -> DataFrame:
     """``doc_id, <carried>, n_words, n_removed, kept``: each text without words that an earlier window holds already.
 
     Words are runs of bytes other than blanks and 0x09-0x0D, unchanged; a word goes if a window of ``width`` words
     over it also begins earlier (at a smaller id, or earlier in the same text). Windows are judged on the input.
-    Kept words are joined by one blank. Null and empty texts have no words and give an empty text; a null id comes
+    Kept words are joined by one blank (``unchanged``: a text that loses none stays as it is). Null and empty texts have no words and give an empty text; a null id comes
     before all others. Rows that repeat an id come in order of their texts' hashes; rows that repeat id and text are
     one document and get equal results. Columns other than the carried ones are left out.
     """
@@ -212,6 +212,6 @@ def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 10, batches:
     for k, (low, high) in enumerate(zip(bounds[:-1], bounds[1:])):
         part = rows if low is None else rows.where(F.col("doc") > low)
         part = part if high is None else part.where(F.col("doc") <= high)
-        judged = index.ingest(part, ["doc_id", *[f"carried_{c}" for c in carry]], last=k == len(bounds) - 2)
+        judged = index.ingest(part, ["doc_id", *[f"carried_{c}" for c in carry]], last=k == len(bounds) - 2, unchanged=unchanged)
         out = judged if out is None else out.union(judged)
     return out.select("doc_id", *[F.col(f"carried_{c}").alias(c) for c in carry], "n_words", "n_removed", "kept")
