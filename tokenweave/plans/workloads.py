@@ -174,7 +174,7 @@ query("lookup_two_round", f"WITH {o.pair_parts(*_LOOK, None)}, {o.score_parts(*_
     lambda s, d: lookup.lookup_two_round(build_index(two(s, d, _LOOK)[1]), s.table("gazetteer"), s.table("small_list")))
 query("lookup_cost", f"WITH lt AS ({o.tokens('small_list', 'phrases', True)}), rt AS ({o.tokens('gazetteer', 'phrases', True)}) SELECT q.id AS query_id, count(rt.id) AS postings, count(DISTINCT rt.id) AS addresses FROM small_list q LEFT JOIN lt ON lt.id = q.id LEFT JOIN rt USING (token) GROUP BY q.id")(
     lambda s, d: lookup.lookup_cost(build_index(two(s, d, _LOOK)[1]), s.table("small_list")))
-query("lookup_repeated", f"WITH {o.pair_parts('regions', 'gazetteer', None)}, {o.score_parts('regions', 'gazetteer')} SELECT id_1 AS query_id, id_2 AS id, score FROM scored".replace("WITH lt", "WITH regions AS (SELECT r_regionkey AS id, r_name AS address FROM region), lt", 1))(
+query("lookup_repeated", f"WITH {o.pair_parts('regions', 'gazetteer', None)}, {o.score_parts('regions', 'gazetteer')} SELECT id_1 AS query_id, id_2 AS id, score FROM scored".replace("WITH lt AS", "WITH regions AS (SELECT r_regionkey::BIGINT AS id, r_name AS address FROM region), lt AS", 1))(
     lambda s, d: baselines.repeat_lookup(build_index(address_list(s, d, "gazetteer")), s.table("gazetteer"), s.sql("SELECT CAST(r_regionkey AS BIGINT) AS id, r_name AS address FROM region")))
 
 # ---- batch linkage
@@ -398,7 +398,7 @@ query("rescore_monge_elkan", f"""{o.linked(k=20)}, w AS (SELECT id_1, id_2, {o.W
     SELECT id_1, id_2, round(({_ME.format('x', 'y')} + {_ME.format('y', 'x')}) / 2, 6) AS score FROM w""")(
     lambda s, d: (lambda x: blocking.candidates(build_index(x[0]), build_index(x[1]), (20, 20)).join(x[0].select(F.col("id").alias("id_1"), F.col("address").alias("x")), "id_1").join(x[1].select(F.col("id").alias("id_2"), F.col("address").alias("y")), "id_2").select("id_1", "id_2", F.round(sim.monge_elkan(F.col("x"), F.col("y")), 6).alias("score")))(two(s, d)))
 _ENT = f"{o.self_parts('url_lines', 20)}, e AS (SELECT id_1 AS a, id_2 AS b FROM scored WHERE score > 0.9 UNION SELECT id_2, id_1 FROM scored WHERE score > 0.9), reach AS (SELECT a AS id, a AS entity FROM e UNION SELECT e.b, entity FROM reach JOIN e ON e.a = reach.id) SELECT id, min(entity) AS entity FROM reach GROUP BY id"
-query("entities", _ENT.replace("WITH lt", "WITH RECURSIVE lt", 1))(lambda s, d: entities.entities(batch.self_link(address_list(s, d, "url_lines"), LinkConfig(k=20, tau=0.9))))
+query("entities", _ENT.replace("WITH lt AS", "WITH RECURSIVE lt AS", 1))(lambda s, d: entities.entities(batch.self_link(address_list(s, d, "url_lines"), LinkConfig(k=20, tau=0.9))))
 query("overlap_sweep", " UNION ALL ".join(f"SELECT {x} AS share, * FROM (WITH part AS (SELECT CASE WHEN id * 7919 % 100 < {x} THEN id ELSE id + 1000000000 END AS id, CASE WHEN id * 7919 % 100 < {x} THEN address ELSE regexp_replace(address, '([A-Z0-9]+)', '\\1X', 'g') END AS address FROM gazetteer), {o.pair_parts('raw_mentions', 'part')} SELECT count(*) AS candidates FROM cand)" for x in (0, 25, 50, 100)))(
     lambda s, d: _overlap(s, d))
 
