@@ -107,7 +107,7 @@ def top_products(vectors: DataFrame, k: int = 5, every: int = 50, scale: int = 2
         out = ([], [], [])
         if len(left) and len(right):
             tree, ids = BallTree(_stack(left["v"])), left["id"].to_numpy()
-            for query, own, floor in zip(_stack(right["v"]), right["id"].tolist(), right["floor"].tolist()):
+            for query, own, floor in zip(_stack(right["q_v"]), right["q_id"].tolist(), right["floor"].tolist()):
                 for s, i in tree.search(query, ids, own, k, floor):
                     out[0].append(own)
                     out[1].append(i)
@@ -118,7 +118,8 @@ def top_products(vectors: DataFrame, k: int = 5, every: int = 50, scale: int = 2
         left = some.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<long>")))
         right = asked.withColumn("shard", F.explode(F.lit(numbers).cast("array<long>")))
         keys = ["dim", "shard", "block"]
-        return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(lambda a, b: answer(a, b), schema)
+        right = right.select(*[F.col(c).alias(f"q_{c}") for c in keys], F.col("id").alias("q_id"), F.col("v").alias("q_v"), F.col("floor"))
+        return left.groupBy(*keys).cogroup(right.groupBy(*[f"q_{c}" for c in keys])).applyInPandas(lambda a, b: answer(a, b), schema)
 
     start = F.lit(float("-inf"))
     first = scratch.save(search(candidates.where("shard = 0"), queries.withColumn("floor", start), [0]), "first")
