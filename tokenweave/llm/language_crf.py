@@ -48,8 +48,8 @@ def forward_backward(evidence: np.ndarray, begins: np.ndarray, transition: np.nd
     rows that advance side by side: first each row's product, then the vectors that enter the rows, then all words.
     """
     n, size = evidence.shape
-    if not n:
-        return np.zeros((0, size))
+    if not n or not size:
+        return np.zeros((n, size))
     emit = np.exp(evidence - evidence.max(1, keepdims=True))
     step, first = np.exp(transition - transition.max()), np.exp(start - start.max())
     step, first = step / step.sum(), first / first.sum() / size
