@@ -104,7 +104,7 @@ def swaps(text: str, terms: frozenset[str], others: tuple[str, ...], rng: np.ran
     return out
 
 
-def train(rows: list[tuple], identity: tuple[str, ...] = IDENTITY_TERMS, neutral: tuple[str, ...] = NEUTRAL_TERMS, epochs: int = 6, rate: float = 0.15, l1: float = 2.0, counterfactual: float = 1.0, positive: float = 4.0, swaps_per_doc: int = 4, seed: int = 11) -> ToxicityModel:
+def train(rows: list[tuple], identity: tuple[str, ...] = IDENTITY_TERMS, neutral: tuple[str, ...] = NEUTRAL_TERMS, epochs: int = 8, rate: float = 0.3, l1: float = 15.0, counterfactual: float = 1.0, positive: float = 4.0, swaps_per_doc: int = 4, seed: int = 11) -> ToxicityModel:
     """Fit on ``(id, text, label)`` rows, where a text of label 1 weighs ``positive`` times one of label 0; without rows, or with one label only, the score is that label's share."""
     labels = np.array([float(r[2]) for r in rows])
     share = (labels.sum() + 0.5) / (len(rows) + 1)
