@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from .tokens import let
+
 ALPHABET = "abcdefghijklmnopqrstuvwxyz0123456789"
 
 
@@ -14,12 +16,12 @@ def count_in(tokens: Column, token: Column) -> Column:
 
 def bag_tags(tokens: Column) -> Column:
     """Each token with its ordinal among equal ones, so that set functions count repeats."""
-    return F.flatten(F.transform(F.array_distinct(tokens), lambda t: F.transform(F.sequence(F.lit(1), count_in(tokens, t)), lambda i: F.concat(t, F.lit("#"), i.cast("string")))))
+    return let(tokens, lambda w: F.flatten(F.transform(F.array_distinct(w), lambda t: F.transform(F.sequence(F.lit(1), count_in(w, t)), lambda i: F.concat(t, F.lit("#"), i.cast("string"))))))
 
 
 def bag_histogram(tokens: Column) -> Column:
     """Map of each token to its number."""
-    return F.map_from_entries(F.transform(F.array_distinct(tokens), lambda t: F.struct(t, count_in(tokens, t))))
+    return let(tokens, lambda w: F.map_from_entries(F.transform(F.array_distinct(w), lambda t: F.struct(t, count_in(w, t)))))
 
 
 def bag_vector(text: Column, alphabet: str = ALPHABET) -> Column:
@@ -36,9 +38,11 @@ def char_bag(text: Column, other: str) -> Column:
 
     ``other`` is the pattern of characters that don't count.
     """
-    kept = F.regexp_replace(F.lower(text), other, "")
-    rest = F.filter(F.split(F.regexp_replace(kept, "[a-z0-9]", ""), ""), lambda c: c != "")
-    return F.struct(bag_vector(kept).alias("v"), bag_tags(rest).alias("t"), F.length(kept).alias("n"))
+    def made(kept: Column) -> Column:
+        rest = F.filter(F.split(F.regexp_replace(kept, "[a-z0-9]", ""), ""), lambda c: c != "")
+        return F.struct(bag_vector(kept).alias("v"), bag_tags(rest).alias("t"), F.length(kept).alias("n"))
+
+    return let(F.regexp_replace(F.lower(text), other, ""), made)
 
 
 def char_overlap(a: Column, b: Column) -> Column:

@@ -12,7 +12,7 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 from .bags import bag_histogram, bag_tags
-from .tokens import numeric_tokens, tokenise, words
+from .tokens import let, numeric_tokens, tokenise, words
 
 
 def overlap(a: Column, b: Column, bag: bool = True) -> Column:
@@ -55,10 +55,9 @@ def overlap_coef(a: Column, b: Column) -> Column:
 
 def cosine_bag(a: Column, b: Column) -> Column:
     """Cosine of two histograms."""
-    x, y = bag_histogram(a), bag_histogram(b)
-    dot = F.aggregate(F.map_keys(x), F.lit(0).cast("long"), lambda s, k: s + F.coalesce(F.element_at(x, k) * F.element_at(y, k), F.lit(0)))
     norm = lambda m: F.aggregate(F.map_values(m), F.lit(0).cast("long"), lambda s, v: s + v * v)
-    return F.try_divide(dot.cast("double"), F.sqrt((norm(x) * norm(y)).cast("double")))
+    dot = lambda x, y: F.aggregate(F.map_keys(x), F.lit(0).cast("long"), lambda s, k: s + F.coalesce(F.element_at(x, k) * F.element_at(y, k), F.lit(0)))
+    return let(bag_histogram(a), lambda x: let(bag_histogram(b), lambda y: F.try_divide(dot(x, y).cast("double"), F.sqrt((norm(x) * norm(y)).cast("double")))))
 
 
 def weighted_ratio(a: Column, b: Column, idf: Column) -> Column:
@@ -101,10 +100,8 @@ def monge_elkan(left: Column, right: Column, sym: str = "mean") -> Column:
         best = F.transform(x, lambda a: F.array_max(F.transform(y, lambda b: 1 - F.levenshtein(a, b).cast("double") / F.greatest(F.length(a), F.length(b)))))
         return F.when((F.size(x) > 0) & (F.size(y) > 0), F.aggregate(best, F.lit(0.0), lambda s, v: s + v) / F.size(x))
 
-    x, y = words(left), words(right)
-    if sym == "none":
-        return one_way(x, y)
-    return (one_way(x, y) + one_way(y, x)) / 2 if sym == "mean" else F.greatest(one_way(x, y), one_way(y, x))
+    both = {"none": one_way, "mean": lambda x, y: (one_way(x, y) + one_way(y, x)) / 2, "max": lambda x, y: F.greatest(one_way(x, y), one_way(y, x))}[sym]
+    return let(words(left), lambda x: let(words(right), lambda y: both(x, y)))
 
 
 def numbers_consistent(left: Column, right: Column, require_nonempty: bool = False, digits_in_words: bool = False) -> Column:

@@ -12,6 +12,11 @@ from ..config import OTHER, WORD
 ACCENTED, PLAIN = "àáâãäåçèéêëìíîïñòóôõöùúûüýÿ", "aaaaaaceeeeiiiinooooouuuuyy"
 
 
+def let(value: Column, make: Callable[[Column], Column]) -> Column:
+    """``make(value)`` with the value worked out once, however often and deep inside other lambdas it's named."""
+    return F.element_at(F.transform(F.array(value), make), 1)
+
+
 def as_text(*columns: Column) -> Column:
     """One line of text from the fields of a segmented address; null fields leave nothing."""
     return F.concat_ws(" ", *columns)
@@ -37,8 +42,11 @@ def chars(text: Column, keep_separators: bool = False, alphabet: str = "unicode"
 
 def runs(tokens: Column, n: int) -> Column:
     """All runs of n consecutive tokens, joined by a blank."""
-    at = F.sequence(F.lit(1), F.size(tokens) - (n - 1))
-    return F.when(F.size(tokens) >= n, F.transform(at, lambda i: F.array_join(F.slice(tokens, i, n), " "))).otherwise(F.array().cast("array<string>"))
+    def made(w: Column) -> Column:
+        at = F.sequence(F.lit(1), F.size(w) - (n - 1))
+        return F.when(F.size(w) >= n, F.transform(at, lambda i: F.array_join(F.slice(w, i, n), " "))).otherwise(F.array().cast("array<string>"))
+
+    return let(tokens, made)
 
 
 def phrases(text: Column, n: int = 2, alphabet: str = "unicode", mode: str = "all") -> Column:
@@ -55,30 +63,35 @@ def two_pass(text: Column, alphabet: str = "unicode") -> Column:
         return F.when(F.size(w) >= 2, F.transform(at, lambda i: F.array_join(F.slice(w, i, 2), " "))).otherwise(F.array().cast("array<string>"))
 
     low = F.lower(text)
-    first = every_other(words(low, alphabet))
+    first = let(words(low, alphabet), every_other)
     rest = F.regexp_replace(low, f"^{OTHER[alphabet]}*{WORD[alphabet]}", "")
-    second = F.flatten(F.transform(F.split(rest, OTHER[alphabet] + "{2,}"), lambda part: every_other(words(part, alphabet))))
+    second = F.flatten(F.transform(F.split(rest, OTHER[alphabet] + "{2,}"), lambda part: let(words(part, alphabet), every_other)))
     return F.array_union(first, second)
 
 
 def pairs(text: Column, scope: str = "adjacent", alphabet: str = "unicode") -> Column:
     """Unordered pairs of words: neighbours, or any two of the text."""
-    w = words(text, alphabet)
-    if scope == "adjacent":
-        at = F.sequence(F.lit(1), F.size(w) - 1)
-        made = F.transform(at, lambda i: F.array_join(F.array_sort(F.slice(w, i, 2)), " "))
-    else:
+    def made(w: Column) -> Column:
         at = F.sequence(F.lit(1), F.size(w) - 1)
-        made = F.flatten(F.transform(at, lambda i: F.transform(F.slice(w, i + 1, F.size(w)), lambda x: F.concat_ws(" ", F.least(F.element_at(w, i), x), F.greatest(F.element_at(w, i), x)))))
-    return F.when(F.size(w) >= 2, made).otherwise(F.array().cast("array<string>"))
+        if scope == "adjacent":
+            all_pairs = F.transform(at, lambda i: F.array_join(F.array_sort(F.slice(w, i, 2)), " "))
+        else:
+            all_pairs = F.flatten(F.transform(at, lambda i: F.transform(F.slice(w, i + 1, F.size(w)), lambda x: F.concat_ws(" ", F.least(F.element_at(w, i), x), F.greatest(F.element_at(w, i), x)))))
+        return F.when(F.size(w) >= 2, all_pairs).otherwise(F.array().cast("array<string>"))
+
+    return let(words(text, alphabet), made)
 
 
 def qgrams(text: Column, q: int = 2, keep_separators: bool = False, alphabet: str = "unicode") -> Column:
     """Character q-grams of the text."""
     low = F.lower(text)
     s = low if keep_separators else F.regexp_replace(low, OTHER[alphabet], "")
-    at = F.sequence(F.lit(1), F.length(s) - (q - 1))
-    return F.when(F.length(s) >= q, F.transform(at, lambda i: F.substring(s, i, F.lit(q)))).otherwise(F.array().cast("array<string>"))
+
+    def made(x: Column) -> Column:
+        at = F.sequence(F.lit(1), F.length(x) - (q - 1))
+        return F.when(F.length(x) >= q, F.transform(at, lambda i: F.substring(x, i, F.lit(q)))).otherwise(F.array().cast("array<string>"))
+
+    return let(s, made)
 
 
 def numeric_tokens(text: Column, digits_in_words: bool = False) -> Column:

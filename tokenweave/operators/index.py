@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.tokens import tokenise
@@ -50,7 +50,18 @@ class Index:
 
 def build_index(addresses: DataFrame, tokeniser: str = "phrases", alphabet: str = "unicode") -> Index:
     """Postings of ``id, address``. Repeats of a token in one address are counted there, without a shuffle."""
-    tokens = tokenise(tokeniser, F.col("address"), alphabet)
-    bags = addresses.where("id IS NOT NULL AND address IS NOT NULL").select("id", tokens.alias("t")).where(F.size("t") > 0)
-    once = F.transform(F.array_distinct("t"), lambda x: F.struct(x.alias("token"), F.size(F.filter("t", lambda y: y == x)).alias("tf")))
-    return Index(bags.select("id", F.size("t").alias("n"), F.inline(once)).select("token", "id", "tf", "n"))
+    rows = addresses.where("id IS NOT NULL AND address IS NOT NULL")
+    return Index(counted(rows, F.col("id"), tokenise(tokeniser, F.col("address"), alphabet)))
+
+
+def counted(rows: DataFrame, key: Column, tokens: Column) -> DataFrame:
+    """``token, id, tf, n``: the distinct tokens of each row with their numbers, and the bag's size.
+
+    Equal tokens stand side by side in the sorted bag; their numbers are the distances between the runs' first
+    places, so that a text of any length takes a sort and a pass.
+    """
+    bags = rows.select(key.alias("id"), F.array_sort(tokens).alias("s")).where(F.size("s") > 0)
+    first = F.transform("s", lambda x, i: F.when((i == 0) | (F.get(F.col("s"), i - 1) != x), i))
+    bags = bags.withColumn("at", F.filter(first, lambda p: p.isNotNull()))
+    once = F.transform("at", lambda p, j: F.struct(F.get(F.col("s"), p).alias("token"), (F.coalesce(F.get(F.col("at"), j + 1), F.size("s")) - p).alias("tf")))
+    return bags.select("id", F.size("s").alias("n"), F.inline(once)).select("token", "id", "tf", "n")

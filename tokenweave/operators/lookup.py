@@ -8,14 +8,13 @@ from pyspark.sql import functions as F
 from ..functions.similarity import from_counts, pooled
 from ..functions.tokens import tokenise
 from .batch import scored_pairs
-from .index import Index
+from .index import Index, counted
 
 
 def query_bags(queries: DataFrame, tokeniser: str, alphabet: str = "unicode") -> DataFrame:
     """``query_id, nq, token, tf_q`` of queries ``id, address``."""
-    bags = queries.select(F.col("id").alias("query_id"), tokenise(tokeniser, F.col("address"), alphabet).alias("t"))
-    once = F.transform(F.array_distinct("t"), lambda x: F.struct(x.alias("token"), F.size(F.filter("t", lambda y: y == x)).alias("tf_q")))
-    return bags.select("query_id", F.size("t").alias("nq"), F.inline(once))
+    found = counted(queries, F.col("id"), tokenise(tokeniser, F.col("address"), alphabet))
+    return found.select(F.col("id").alias("query_id"), F.col("n").alias("nq"), "token", F.col("tf").alias("tf_q"))
 
 
 def lookup(index: Index, queries: DataFrame, tokeniser: str, measure: str = "pooled", query_size: str = "full") -> DataFrame:

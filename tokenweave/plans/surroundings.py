@@ -81,7 +81,7 @@ query("agg_cube", f"SELECT kind, status, count(*) AS n FROM ({_G}) GROUP BY CUBE
 query("agg_grouping_sets", f"SELECT kind, status, grouping_id(kind, status)::BIGINT AS g, count(*) AS n FROM ({_G}) GROUP BY GROUPING SETS ((kind), (status), ())")(
     lambda s, d: (_grouped(s, d).createOrReplaceTempView("tw_grouped"), s.sql("SELECT kind, status, grouping_id(kind, status) AS g, count(*) AS n FROM tw_grouped GROUP BY GROUPING SETS ((kind), (status), ())"))[1])
 query("agg_pivot", "SELECT kind, count(*) FILTER (status = 'F') AS f, count(*) FILTER (status = 'O') AS o, count(*) FILTER (status = 'P') AS p FROM raw_mentions GROUP BY kind")(
-    lambda s, d: address_list(s, d, "raw_mentions").groupBy("kind").pivot("status", ["F", "O", "P"]).agg(F.count("*")).select("kind", *[F.coalesce(c, F.lit(0)).alias(c.lower()) for c in "FOP"]))
+    lambda s, d: address_list(s, d, "raw_mentions").groupBy("kind").pivot("status", ["F", "O", "P"]).agg(F.count(F.lit(1))).select("kind", *[F.coalesce(c, F.lit(0)).alias(c.lower()) for c in "FOP"]))
 query("agg_percentile", f"SELECT percentile_disc(0.5) WITHIN GROUP (ORDER BY df) AS middle, percentile_disc(0.99) WITHIN GROUP (ORDER BY df) AS high, max(df) AS most FROM (SELECT token, count(*) AS df FROM ({o.tokens('raw_mentions', 'phrases', True)}) GROUP BY token)")(
     lambda s, d: build_index(address_list(s, d, "raw_mentions")).frequencies().agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY df)").cast("long").alias("middle"), F.expr("percentile_disc(0.99) WITHIN GROUP (ORDER BY df)").cast("long").alias("high"), F.max("df").alias("most")))
 query("agg_approx")(lambda s, d: build_index(address_list(s, d, "raw_mentions")).postings.agg(F.approx_count_distinct("token").alias("about_tokens"), F.approx_count_distinct("id").alias("about_ids")))
@@ -96,10 +96,10 @@ def _ranks(raw):
     return raw.select("id", "kind", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("dr"), F.ntile(4).over(v).cast("long").alias("q"), F.round(F.percent_rank().over(w), 9).alias("pr"))
 
 
-@query("win_frame", "SELECT day, status, n, sum(n) OVER (PARTITION BY status ORDER BY day ROWS BETWEEN 6 PRECEDING AND CURRENT ROW)::BIGINT AS week, first_value(n) OVER (PARTITION BY status ORDER BY day) AS first_n, lag(n) OVER (PARTITION BY status ORDER BY day) AS before FROM (SELECT o_orderdate::DATE AS day, o_orderstatus AS status, count(*) AS n FROM orders GROUP BY 1, 2)")
+@query("win_frame", "SELECT day, status, n, sum(n) OVER (PARTITION BY status ORDER BY day ROWS BETWEEN 6 PRECEDING AND CURRENT ROW)::BIGINT AS week, first_value(n) OVER (PARTITION BY status ORDER BY day) AS first_n, lag(n) OVER (PARTITION BY status ORDER BY day) AS before FROM (SELECT strftime(o_orderdate, '%Y-%m-%d') AS day, o_orderstatus AS status, count(*) AS n FROM orders GROUP BY 1, 2)")
 def _(s, d):
     address_list(s, d, "site")
-    days = s.table("orders").groupBy(F.to_date("o_orderdate").alias("day"), F.col("o_orderstatus").alias("status")).agg(F.count("*").alias("n"))
+    days = s.table("orders").groupBy(F.date_format("o_orderdate", "yyyy-MM-dd").alias("day"), F.col("o_orderstatus").alias("status")).agg(F.count("*").alias("n"))
     w = Window.partitionBy("status").orderBy("day")
     return days.select("day", "status", "n", F.sum("n").over(w.rowsBetween(-6, 0)).alias("week"), F.first_value("n").over(w).alias("first_n"), F.lag("n").over(w).alias("before"))
 
