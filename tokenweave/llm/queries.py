@@ -97,6 +97,27 @@ def op10_masked_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op3_ball_tree": op3_ball_tree, "op4_language_crf": op4_language_crf, "op5_bpe": op5_bpe, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op8_decontaminate": op8_decontaminate, "op9_substring_dedup": op9_substring_dedup, "op10_masked_lm": op10_masked_lm}
 ORACLES: dict[str, str] = {
+    "op2_ngram_jaccard": r"""
+        WITH RECURSIVE d AS (
+            SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+        s AS (
+            SELECT DISTINCT doc_id, unnest(CASE WHEN len(w) BETWEEN 1 AND 2 THEN [array_to_string(w, ' ')] ELSE list_transform(range(1, len(w) - 1), lambda i: w[i] || ' ' || w[i + 1] || ' ' || w[i + 2]) END) AS g FROM d),
+        n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+        both_have AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM s a JOIN s b USING (g) WHERE a.doc_id < b.doc_id GROUP BY 1, 2),
+        linked AS MATERIALIZED (SELECT a, b FROM both_have JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * i >= 90 * (x.n + y.n - i)),
+        edges AS MATERIALIZED (SELECT a, b FROM linked UNION SELECT b, a FROM linked),
+        reach AS (SELECT doc_id AS a, doc_id AS b FROM d UNION SELECT reach.a, edges.b FROM reach JOIN edges ON edges.a = reach.b)
+        SELECT d.doc_id AS doc_id, coalesce(n, 0) AS n_shingles, component_id FROM d LEFT JOIN n USING (doc_id) JOIN (SELECT a AS doc_id, min(b) AS component_id FROM reach GROUP BY a) USING (doc_id)
+    """,
+    "op9_substring_dedup": r"""
+        WITH d AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+        windows AS (SELECT doc_id, unnest(list_transform(range(1, len(w) - 18), lambda p: {'p': p, 'k': array_to_string(w[p:p + 19], ' ')})) AS x FROM d),
+        again AS (SELECT doc_id, p FROM (SELECT doc_id, x.p AS p, row_number() OVER (PARTITION BY x.k ORDER BY doc_id, x.p) AS r FROM windows) WHERE r > 1),
+        gone AS (SELECT DISTINCT doc_id, p + j AS p FROM again, range(20) AS t(j)),
+        words AS (SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS p FROM d),
+        kept AS (SELECT doc_id, count(*) AS n, string_agg(x, ' ' ORDER BY p) AS t FROM words ANTI JOIN gone USING (doc_id, p) GROUP BY doc_id)
+        SELECT d.doc_id AS doc_id, len(w) AS n_words, len(w) - coalesce(n, 0) AS n_removed, sha256(coalesce(t, '')) AS kept_sha256 FROM d LEFT JOIN kept USING (doc_id)
+    """,
     "op3_ball_tree": """
         WITH usable AS (
             SELECT vec_id, len(embedding) AS dim, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings
