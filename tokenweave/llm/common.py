@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import atexit
-import os
 import shutil
 import tempfile
 import uuid
@@ -41,6 +40,10 @@ def remove(spark: SparkSession, path: str) -> None:
     where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
 
 
+#: Spark deletes the shuffle files of a finished query where this is set (a session setting).
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 class Scratch:
     """Tables of one run in the shared folder.
 
@@ -51,21 +54,31 @@ class Scratch:
 
     def __init__(self, spark: SparkSession):
         self.spark, self.root, self.paths = spark, f"{shared_dir(spark)}/run-{uuid.uuid4().hex}", []
+        self.made = 0
 
     def path(self, name: str) -> str:
-        self.paths.append(f"{self.root}/{len(self.paths):03d}-{name}")
+        self.made += 1
+        self.paths.append(f"{self.root}/{self.made:03d}-{name}")
         return self.paths[-1]
 
     def save(self, df: DataFrame, name: str) -> DataFrame:
-        path = self.path(name)
-        df.write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
+        path, conf = self.path(name), self.spark.conf
+        before = conf.get(CLEANUP, "false")
+        conf.set(CLEANUP, "true")  # the written table stands for the plan, whose shuffles nobody reads again
+        try:
+            df.write.parquet(path)
+        finally:
+            conf.set(CLEANUP, before)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        out.scratch_path = path
+        return out
 
-    def drop(self, *tables: DataFrame) -> None:
+    def drop(self, *tables: DataFrame | None) -> None:
+        """Delete saved tables that no later plan reads."""
         for table in tables:
-            for path in {os.path.dirname(f) for f in table.inputFiles()}:
-                if any(path.endswith(p.split("://")[-1]) for p in self.paths):
-                    remove(self.spark, path)
+            if table is not None and (path := getattr(table, "scratch_path", None)) in self.paths:
+                self.paths.remove(path)
+                remove(self.spark, path)
 
     def finish(self, df: DataFrame) -> DataFrame:
         out = self.save(df, "result")
