@@ -9,8 +9,8 @@ members and verifies each pair on the whole sets.
 A shingle that is in up to ``light`` prefixes proposes all its pairs. One that is in more (a large family of near
 copies) is worked through in blocks inside Arrow tasks: a first pass proposes for each group its closest partner in
 a block, which after verification joins most of the family; the second pass takes all pairs of blocks, but only
-those pairs of groups that aren't in one component yet. All pairs between different components are verified, so
-the components are exact, while a family's inner pairs aren't all spelt out.
+those pairs of groups that aren't in one component yet, and verifies them in their blocks. All pairs between
+different components are verified, so the components are exact, while a family's inner pairs aren't all spelt out.
 """
 
 from __future__ import annotations
@@ -217,23 +217,53 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
         d["prefix"] = [np.array(x, np.int64) for x in d["prefix"]]
         take = lambda keep: {c: [v for v, k in zip(d[c], d["mine"]) if k == keep] for c in d}
         left, right = take(lo), take(hi) if hi != lo else None
-        out = ([], [])
+        gids, at, out = [], {}, ([], [])
         if left["gid"] and (right is None or right["gid"]) and len(set(d["part"])) > 1:
             overlaps, other = _overlaps(left, right, num, den), right or left
             codes = {p: k for k, p in enumerate(set(d["part"]))}
             apart = np.array([codes[p] for p in left["part"]])[:, None] != np.array([codes[p] for p in other["part"]])[None, :]
             found = (overlaps > 0) & apart
+            hot, others = [set(h) for h in left["hot"]], [set(h) for h in other["hot"]]
             for x, y in np.argwhere(np.tril(found, -1) if right is None else found).tolist():
-                if min(set(left["hot"][x]) & set(other["hot"][y])) == token:  # once for each pair: at its smallest heavy shingle
-                    g, h = sorted((left["gid"][x], other["gid"][y]))
-                    out[0].append(g)
-                    out[1].append(h)
-        return pa.table({"ga": pa.array(out[0], pa.binary()), "gb": pa.array(out[1], pa.binary())})
+                if min(hot[x] & others[y]) == token:  # once for each pair: at its smallest heavy shingle
+                    for g, side in ((left["gid"][x], out[0]), (other["gid"][y], out[1])):
+                        if g not in at:
+                            at[g] = len(gids)
+                            gids.append(g)
+                        side.append(at[g])
+        n = bool(gids)
+        return pa.table({"token": pa.array([token] * n, pa.int64()), "lo": pa.array([lo] * n, pa.int64()), "hi": pa.array([hi] * n, pa.int64()), "gids": pa.array([gids] * n, pa.list_(pa.binary())), "x": pa.array([out[0]] * n, pa.list_(pa.int32())), "y": pa.array([out[1]] * n, pa.list_(pa.int32()))})
+
+    def verify_tile(tile: pa.Table, held: pa.Table) -> pa.Table:
+        """Links of a pair of blocks, verified on whole sets; pairs that earlier links have joined are left out."""
+        owned: dict[int, list[tuple[bytes, np.ndarray]]] = {}
+        for k, sig, elements in zip(*(held.column(c).to_pylist() for c in ("at", "sig", "elements"))):
+            owned.setdefault(k, []).append((sig, np.array(elements, np.int64)))
+        root: dict[bytes, bytes] = {}
+
+        def find(s):
+            while root.setdefault(s, s) != s:
+                root[s] = s = root[root[s]]
+            return s
+
+        out = ([], [])
+        for x, y in zip(tile.column("x")[0].as_py(), tile.column("y")[0].as_py()):
+            for sig, one in owned.get(x, ()):
+                for sig2, two in owned.get(y, ()):
+                    if (r := find(sig)) != (q := find(sig2)):
+                        c = len(np.intersect1d(one, two, assume_unique=True))
+                        if den * c >= num * (len(one) + len(two) - c):
+                            root[r] = q
+                            out[0].append(sig)
+                            out[1].append(sig2)
+        return pa.table({"a": pa.array(out[0], pa.binary()), "b": pa.array(out[1], pa.binary())})
 
-    second = tiles.groupBy("token", "lo", "hi").applyInArrow(open_pairs, pair)
     if not open_tokens.isEmpty():
-        more = scratch.save(expand(second.distinct()).join(candidates, ["a", "b"], "left_anti"), "candidates")
-        links = scratch.save(links.union(verify(more)), "links")
+        key = ["token", "lo", "hi"]
+        tiles = scratch.save(tiles.groupBy(*key).applyInArrow(open_pairs, "token long, lo long, hi long, gids array<binary>, x array<int>, y array<int>"), "tiles")
+        held = tiles.select(*key, F.posexplode("gids").alias("at", "gid")).join(members.select("gid", "sig"), "gid").join(sets, "sig").select(*[F.col(c).alias(f"of_{c}") for c in key], "at", "sig", "elements")
+        more = tiles.select(*key, "x", "y").groupBy(*key).cogroup(held.groupBy(*[f"of_{c}" for c in key])).applyInArrow(lambda l, r: verify_tile(l, r), "a binary, b binary")
+        links = scratch.save(links.union(more), "links")
         known = components(scratch, links)
 
     named = members.join(known.withColumnRenamed("node", "sig"), "sig", "left").select("sig", "first_id", F.coalesce("component", "sig").alias("component"))
