@@ -71,7 +71,7 @@ class FingerprintIndex:
     when windows around a shared fingerprint must be compared.
     """
 
-    def __init__(self, spark: SparkSession, scratch: Scratch, width: int = 20, gram: int = 10, fanout: int = 2):
+    def __init__(self, spark: SparkSession, scratch: Scratch, width: int = 20, gram: int = 6, fanout: int = 2):
         self.spark, self.scratch, self.width, self.gram, self.fanout = spark, scratch, width, gram, fanout
         self.runs: list[DataFrame] = []
         self.history: DataFrame | None = None
@@ -160,6 +160,8 @@ class FingerprintIndex:
             old = scratch.save(runs.join(counted.select("fp"), "fp"), "met")
             again = again.union(old.select("fp")).distinct()
         again = scratch.save(again, "again")
+        if last:
+            scratch.drop(counted)
         near = prints.join(again, "fp")
         here = scratch.save(near.groupBy(*key).agg(F.collect_list("pos").alias("positions")), "touched")
         texts = docs.select(*key, "text").join(here, key)
@@ -179,7 +181,9 @@ class FingerprintIndex:
             self.runs.append(scratch.save(single.union(shared).repartition("fp").sortWithinPartitions("fp"), "run"))
             if len(self.runs) >= self.fanout:
                 self.compact()
+            scratch.drop(counted)
             self.history = docs.select(*key, "text") if self.history is None else self.history.union(docs.select(*key, "text"))
+        scratch.drop(prints, again, here, old)
         return judged.drop("alive")
 
     def compact(self) -> None:
@@ -187,10 +191,11 @@ class FingerprintIndex:
         merged = self.runs[0]
         for more in self.runs[1:]:
             merged = merged.union(more)
-        self.runs = [self.scratch.save(merged.repartition("fp").sortWithinPartitions("fp"), "run")]
+        old, self.runs = self.runs, [self.scratch.save(merged.repartition("fp").sortWithinPartitions("fp"), "run")]
+        self.scratch.drop(*old)
 
 
-def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 10, batches: int = 3, id_col: str = "doc_id", text_col: str = "text", carry: list[str] = (), unchanged: bool = False, scratch: Scratch | None = None) -> DataFrame:
+def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 6, batches: int = 2, id_col: str = "doc_id", text_col: str = "text", carry: list[str] = (), unchanged: bool = False, scratch: Scratch | None = None) -> DataFrame:
     """``doc_id, <carried>, n_words, n_removed, kept``: each text without words that an earlier window holds already.
 
     Words are runs of bytes other than blanks and 0x09-0x0D, unchanged; a word goes if a window of ``width`` words
@@ -214,4 +219,5 @@ def dedup_substrings(docs: DataFrame, width: int = 20, gram: int = 10, batches:
         part = part if high is None else part.where(F.col("doc") <= high)
         judged = index.ingest(part, ["doc_id", *[f"carried_{c}" for c in carry]], last=k == len(bounds) - 2, unchanged=unchanged)
         out = judged if out is None else out.union(judged)
+    scratch.drop(*index.runs)
     return out.select("doc_id", *[F.col(f"carried_{c}").alias(c) for c in carry], "n_words", "n_removed", "kept")
