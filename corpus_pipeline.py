@@ -24,7 +24,8 @@ def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -
 
     Documents without words stay; of rows that repeat id and text one stays.
     """
-    found = ngram_jaccard.jaccard_components(docs, scratch=Scratch(spark))
+    scratch = Scratch(spark)
+    found = scratch.finish(ngram_jaccard.jaccard_components(docs, scratch=scratch))
     kept = found.where("doc_id <=> component_id").select(F.col("doc_id").alias("kept_id")).distinct()
     return docs.join(kept, docs.doc_id.eqNullSafe(kept.kept_id), "left_semi").dropDuplicates(["doc_id", "text"])
 
