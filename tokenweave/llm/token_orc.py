@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import zlib
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -81,27 +82,33 @@ class LibraryCoder:
             cache.clear()
         if len(begins) >= CACHED // 8:
             begins.clear()
-        lines, sizes, out = [], [], []
-        for text in texts:
-            own = text.split("\n") if text else []
-            if any(x in text for x in self.special) or SEPARATORS.search(text) or not all(x and not x[0].isspace() and not x[-1].isspace() and not INNER_BLANK.search(x) for x in own) if text else False:
-                own = None
-            sizes.append(-1 if own is None else len(own))
-            lines += own or ()
+        plain, lines, odd = [], [], {}
+        for k, text in enumerate(texts):
+            own = text.split("\n") if text else ()
+            if own and (any(x in text for x in self.special) or SEPARATORS.search(text) or INNER_BLANK.search(text) or "" in own or any(x[0].isspace() or x[-1].isspace() for x in own)):
+                odd[k], own = self._ask([text])[0], ()
+            plain.append(len(own))
+            lines += own
         parts = [x.split(" ") for x in lines]
         first = [p.pop(0) for p in parts]
         new = list(set(first).difference(begins))
         begins.update(zip(new, self._ask(new)))
-        found = [list(map(cache.get, p)) for p in parts]
-        holes = [k for k, f in enumerate(found) if None in f]
-        self._learn({x for k in holes for x, y in zip(parts[k], found[k]) if y is None})
-        for k in holes:
-            found[k] = [cache[x] if y is None else y for x, y in zip(parts[k], found[k])]
-        coded = [begins[x] + b"".join(f) for x, f in zip(first, found)]
-        at = 0
-        for text, n in zip(texts, sizes):
-            out.append(self._ask([text])[0] if n < 0 else self.newline.join(coded[at : at + n]))
-            at += max(n, 0)
+        words = list(chain.from_iterable(parts))
+        found = list(map(cache.get, words))
+        if None in found:
+            self._learn({x for x, y in zip(words, found) if y is None})
+            found = [cache[x] if y is None else y for x, y in zip(words, found)]
+        out, line, at, newline = [], 0, 0, self.newline
+        for k, n in enumerate(plain):
+            made = []
+            for j in range(line, line + n):
+                m = len(parts[j])
+                made.append(begins[first[j]])
+                made += found[at : at + m]
+                made.append(newline)
+                at += m
+            line += n
+            out.append(odd.get(k, b"") if not n else b"".join(made[:-1]))
         return out
 
 
