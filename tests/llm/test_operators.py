@@ -330,6 +330,42 @@ def test_decontamination(spark, limit):
     assert {r.doc_id for r in kept.collect()} == {i for i, x in truth.items() if not x} and kept.columns == df.columns
 
 
+def test_longest_stretch_is_found():
+    """Against all stretches of random agreements, and whole items with a fifth of their words substituted anywhere."""
+    rng = np.random.default_rng(5)
+    for _ in range(300):
+        equal = rng.random(rng.integers(1, 60)) < rng.choice([0.5, 0.8, 0.9])
+        both = [(e - b, -b) for b in range(len(equal)) for e in range(b + 1, len(equal) + 1) if 5 * equal[b:e].sum() >= 4 * (e - b)]
+        want = max(both, default=(0, 0))
+        assert decontaminate.stretch(equal, 0.8) == (-want[1], want[0] - want[1])
+    for _ in range(600):
+        n = int(rng.integers(12, 60))
+        item = decontaminate.plain_hashes(" ".join(f"w{k}" for k in range(n)))
+        bench = decontaminate.Benchmark([7], [item], decontaminate.MASKS)
+        words = item.copy()
+        at = rng.choice(n, int(rng.integers(1, n // 5 + 1)), replace=False)
+        words[at] = at
+        doc = np.concatenate([np.arange(900, 930, dtype=np.uint64), words, np.arange(950, 970, dtype=np.uint64)])
+        found = [decontaminate.verify(doc, item, offset, 0.8, 16) for _, offset in bench.met(doc)]
+        assert (30, 30 + n, n - len(at)) in found
+
+
+def test_masks_miss_no_stretch():
+    """The most equal words that a row of places can have without any mask fitting is under 80 % for all lengths."""
+    span, masks = max(map(len, decontaminate.MASKS)), [int(m, 2) for m in decontaminate.MASKS]
+    best = {0: 0}
+    for length in range(1, 121):
+        new: dict[int, int] = {}
+        for state, equal in best.items():
+            for bit in (0, 1):
+                places = state << 1 | bit
+                if not any(places & m == m for m in masks):
+                    kept = places & ((1 << (span - 1)) - 1)
+                    new[kept] = max(new.get(kept, 0), equal + bit)
+        best = new
+        assert length < 12 or 5 * max(best.values()) < 4 * length
+
+
 def test_decontamination_of_and_by_nothing(spark, empty, messy):
     none = spark.createDataFrame([], "item_id long, text string")
     assert decontaminate.find_contaminated(empty, none).collect() == []
