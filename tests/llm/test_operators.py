@@ -452,6 +452,18 @@ def test_masked_lm(spark, messy, empty):
     assert masked_lm.score(empty, masked_lm.fit(empty)).collect() == []
 
 
+def test_masked_lm_trains_on_every_word(spark):
+    """Six words in a circle: a word at any place, and that of a text of one word, is better known than at the start."""
+    texts = [(k, "a b c d e f " * 40) for k in range(60)] + [(k, "alone") for k in range(60, 400)]
+    df = spark.createDataFrame(texts, "doc_id long, text string").coalesce(1)
+    first = masked_lm.begin(masked_lm.count_words(df))
+    for trained in (masked_lm.fit(df), masked_lm.fit(df, rounds=1), masked_lm.fit(df, rounds=3)):
+        for probe in ("a b c d e f " * 3, "alone"):
+            ids, sizes = trained.encode([probe])
+            at = masked_lm.SPAN + np.arange(sizes[0])
+            assert (trained.log_probs(ids, at) > first.log_probs(ids, at) + 0.3).all()
+
+
 def test_masked_lm_probabilities_sum_to_one():
     rng = np.random.default_rng(0)
     weights = {n: rng.normal(0, 0.3, s).astype(np.float32) for n, s in masked_lm.PARTS.items()}

@@ -129,9 +129,11 @@ class WindowNetwork:
             move(name, grad, rows)
         move("bias", back.sum(0))
         for k, shift in enumerate(SHIFTS):
-            near, place = np.unique(ids[at + shift], return_inverse=True)
-            order = np.argsort(place, kind="stable")
-            move("embed", np.add.reduceat(back[order], np.searchsorted(place[order], np.arange(len(near))), 0), (k, near))
+            near = ids[at + shift].astype(np.int16)
+            order = np.argsort(near, kind="stable")
+            near = near[order]
+            first = np.flatnonzero(np.diff(near, prepend=-1))
+            move("embed", np.add.reduceat(back[order], first, 0), (k, near[first]))
 
     def flat(self) -> np.ndarray:
         return np.concatenate([self.weights[name].ravel() for name in PARTS]).astype(np.float32)
@@ -165,9 +167,10 @@ def begin(counts: DataFrame, seed: int = 17) -> WindowNetwork:
     return WindowNetwork(ids, weights)
 
 
-def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int = 6, rate: float = 0.1, text_col: str = "text") -> WindowNetwork:
-    """One round over all documents: each partition trains on each ``every``-th word of its texts (another one each
-    round), then all partitions' weights are averaged by a tree of sums, ``MERGED`` messages at a time."""
+def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int = 1, rate: float = 0.1, text_col: str = "text") -> WindowNetwork:
+    """One round over all documents: each partition trains on each ``every``-th word of each text (another one each round,
+    so that ``every`` rounds take all), then all partitions' weights are averaged by a tree of sums, ``MERGED`` messages
+    at a time."""
     spark = docs.sparkSession
     shared = spark.sparkContext.broadcast(network)
 
@@ -178,10 +181,11 @@ def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int
         squares, words = {k: np.full(v.shape, 1e-3, np.float32) for k, v in own.weights.items()}, 0
         for batch in batches:
             for a in range(0, len(batch), 256):
-                ids, _ = own.encode(batch.column(0).slice(a, 256).to_pylist())
+                ids, sizes = own.encode(batch.column(0).slice(a, 256).to_pylist())
                 at = np.flatnonzero(ids < SIZE)
                 words += len(at)
-                at = at[number % every :: every]
+                place = np.arange(len(at)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+                at = at[place % every == number % every]
                 for b in range(0, len(at), 2048):
                     own.step(ids, at[b : b + 2048], squares, rate)
         if words:
@@ -206,9 +210,10 @@ def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int
 
 
 def fit(docs: DataFrame, rounds: int = 2, text_col: str = "text", **settings) -> WindowNetwork:
+    """Every word of every text is predicted once: each round takes another share of the places."""
     network = begin(count_words(docs, text_col))
     for k in range(rounds):
-        network = train_round(docs, network, k, text_col=text_col, **settings)
+        network = train_round(docs, network, k, every=rounds, text_col=text_col, **settings)
     return network
 
 
