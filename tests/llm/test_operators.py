@@ -452,6 +452,22 @@ def test_masked_lm(spark, messy, empty):
     assert masked_lm.score(empty, masked_lm.fit(empty)).collect() == []
 
 
+def test_masked_lm_tells_words_of_a_bucket_apart(spark):
+    """Words outside the network's own list: their shares of the bucket follow their counts, and sum to one with the unseen."""
+    bucket = [w for w in (f"rare{k}" for k in range(5000)) if zlib.crc32(w.encode()) % masked_lm.BUCKETS == 9][:4]
+    many, once, few, junk = bucket
+    top = " ".join(f"top{k}" for k in range(masked_lm.TOP))
+    texts = [(k, top) for k in range(12)] + [(20, f"{many} " * 8 + once), (21, f"{few} {few} {few}")]
+    df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    net = masked_lm.fit(df)
+    got = {r.doc_id: r.log_prob for r in masked_lm.score(spark.createDataFrame(list(enumerate(bucket)), "doc_id long, text string"), net).collect()}
+    ids, _ = net.encode([many])
+    of_bucket = net.log_probs(ids, np.array([masked_lm.SPAN]))[0]
+    share = [math.exp(got[k] - of_bucket) for k in range(4)]
+    assert share == pytest.approx([8.5 / 14, 1.5 / 14, 3.5 / 14, 0.5 / 14], rel=1e-4)
+    assert sum(share) == pytest.approx(1, rel=1e-4)
+
+
 def test_masked_lm_trains_on_every_word(spark):
     """Six words in a circle: a word at any place, and that of a text of one word, is better known than at the start."""
     texts = [(k, "a b c d e f " * 40) for k in range(60)] + [(k, "alone") for k in range(60, 400)]

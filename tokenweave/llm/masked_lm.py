@@ -1,6 +1,8 @@
 """Masked pseudo-likelihood: a bidirectional window network scores each word from both its sides.
 
-The vocabulary comes from word counts over all documents: the commonest words, and checksum buckets for the rest.
+The vocabulary is all words counted over all documents. The network tells the commonest ones apart and checksum buckets
+of the rest; inside its bucket each word has the smoothed share of its own count. These counts grow with the input and
+stay a distributed table: scoring sends each chunk of documents the counts of its own words only.
 A hidden layer sums position-wise embeddings of the neighbours; a two-level softmax (class, then word in class)
 predicts the masked word. Training runs where the documents are: in each round every partition takes gradient
 steps in numpy from the shared parameters, and the partitions' parameters are averaged by their numbers of words.
@@ -14,11 +16,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Kept
+from .common import WORD_HASH, Kept, Scratch
 
 #: Vocabulary: words by rank, then checksum buckets; classes of as many words.
 TOP, BUCKETS, SIDE = 768, 256, 32
@@ -27,14 +30,27 @@ SPAN, DIM = 2, 16
 SHIFTS = [k for k in range(-SPAN, SPAN + 1) if k]
 MERGED = 64
 PARTS = {"embed": (len(SHIFTS), SIZE + 1, DIM), "bias": (DIM,), "classes": (DIM, SIDE), "class_bias": (SIDE,), "words": (SIZE // SIDE, DIM, SIDE), "word_bias": (SIZE // SIDE, SIDE)}
-#: Words scored at once.
-BLOCK = 65_536
+#: Words scored at once; words of a chunk of documents whose counts are fetched together.
+BLOCK, CHUNK_WORDS = 65_536, 1 << 20
+#: Added to each word's count inside its bucket, and the whole count of a bucket's unseen words.
+UNSEEN = 0.5
+#: A word's key: its id in the low bits and, for words in buckets, bits of its hash above them.
+ID_BITS = 11
 
 
 def split(text: str | None) -> list[str]:
     return text.lower().split() if text else []
 
 
+def bucket_key(word: str) -> int:
+    raw = word.encode("utf-8", "surrogatepass")
+    return WORD_HASH(raw) >> ID_BITS << ID_BITS | TOP + zlib.crc32(raw) % BUCKETS
+
+
+def ids_of(keys: np.ndarray) -> np.ndarray:
+    return (keys & np.uint64((1 << ID_BITS) - 1)).astype(np.int64)
+
+
 def count_words(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """``word, n`` over all documents, summed up inside each task first."""
 
@@ -54,29 +70,40 @@ def count_words(docs: DataFrame, text_col: str = "text") -> DataFrame:
 
 @dataclass
 class WindowNetwork:
+    """The network, the logarithms of the buckets' smoothed totals, and ``word, n`` of all words in buckets (on the driver)."""
+
     ids: dict[str, int]
     weights: dict[str, np.ndarray]
+    totals: np.ndarray | None = None
+    counts: DataFrame | None = None
 
     def __post_init__(self):
-        self.known = Kept(self._id, 300_000)
+        self.known = Kept(self._key, 300_000)
+        if self.totals is None:
+            self.totals = np.full(BUCKETS, np.log(UNSEEN))
 
     def __reduce__(self):
-        return WindowNetwork, (self.ids, self.weights)
+        return WindowNetwork, (self.ids, self.weights, self.totals)
 
-    def _id(self, word: str) -> int:
+    def _key(self, word: str) -> int:
         found = self.ids.get(word)
-        return TOP + zlib.crc32(word.encode("utf-8", "surrogatepass")) % BUCKETS if found is None else found
+        return bucket_key(word) if found is None else found
 
-    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all words, SPAN places of padding after each text (and before the first), and the texts' sizes."""
-        known, out, sizes = self.known.__getitem__, [np.full(SPAN, SIZE)], []
+    def keys(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Keys of all words, SPAN places of padding after each text (and before the first), and the texts' sizes."""
+        known, out, sizes = self.known.__getitem__, [np.full(SPAN, SIZE, np.uint64)], []
         for text in texts:
             words = split(text)
-            out.append(np.fromiter(map(known, words), np.int64, len(words)))
-            out.append(np.full(SPAN, SIZE))
+            out.append(np.fromiter(map(known, words), np.uint64, len(words)))
+            out.append(np.full(SPAN, SIZE, np.uint64))
             sizes.append(len(words))
         return np.concatenate(out), np.array(sizes, np.int64)
 
+    def encode(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words, padded as their keys are, and the texts' sizes."""
+        keys, sizes = self.keys(texts)
+        return ids_of(keys), sizes
+
     def hidden(self, ids: np.ndarray, at: np.ndarray) -> np.ndarray:
         x = np.repeat(self.weights["bias"][None], len(at), 0)
         for k, shift in enumerate(SHIFTS):
@@ -149,22 +176,25 @@ class WindowNetwork:
 
 
 def begin(counts: DataFrame, seed: int = 17) -> WindowNetwork:
-    """Vocabulary and starting weights; the output biases are the words' log shares."""
+    """Vocabulary and starting weights; the output biases are the words' log shares. ``counts`` is read again in scoring."""
     top = counts.orderBy(F.desc("n"), "word").limit(TOP).collect()
     ids = {r.word: k for k, r in enumerate(top)}
     share = np.ones(SIZE)
     share[: len(top)] += [r.n for r in top]
     spark = counts.sparkSession
     words = spark.createDataFrame([(w,) for w in ids], "word string")
-    for r in counts.join(F.broadcast(words), "word", "left_anti").groupBy(F.pmod(F.crc32(F.col("word").cast("binary")), F.lit(BUCKETS)).alias("bucket")).agg(F.sum("n").alias("n")).collect():
+    rest = counts.join(F.broadcast(words), "word", "left_anti").select("word", "n")
+    totals = np.full(BUCKETS, UNSEEN)
+    for r in rest.groupBy(F.pmod(F.crc32(F.col("word").cast("binary")), F.lit(BUCKETS)).alias("bucket")).agg(F.sum("n").alias("n"), F.count("*").alias("words")).collect():
         share[TOP + r.bucket] += r.n
+        totals[r.bucket] += r.n + UNSEEN * r.words
     rng = np.random.default_rng(seed)
     weights = {name: rng.normal(0, 0.1, shape).astype(np.float32) for name, shape in PARTS.items()}
     weights["bias"][:] = 0
     by_class = share.reshape(-1, SIDE)
     weights["class_bias"] = np.log(by_class.sum(1) / share.sum()).astype(np.float32)
     weights["word_bias"] = np.log(by_class / by_class.sum(1, keepdims=True)).astype(np.float32)
-    return WindowNetwork(ids, weights)
+    return WindowNetwork(ids, weights, np.log(totals), rest)
 
 
 def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int = 1, rate: float = 0.1, text_col: str = "text") -> WindowNetwork:
@@ -175,8 +205,6 @@ def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int
     shared = spark.sparkContext.broadcast(network)
 
     def run(batches):
-        from pyspark import TaskContext
-
         own = WindowNetwork(shared.value.ids, {k: v.copy() for k, v in shared.value.weights.items()})
         squares, words = {k: np.full(v.shape, 1e-3, np.float32) for k, v in own.weights.items()}, 0
         for batch in batches:
@@ -206,37 +234,81 @@ def train_round(docs: DataFrame, network: WindowNetwork, number: int, every: int
     rows = parts.collect()  # one message
     if not rows:
         return network
-    return WindowNetwork(network.ids, WindowNetwork.unflat(sum(np.frombuffer(r.total, np.float64) for r in rows) / sum(r.words for r in rows)))
+    weights = WindowNetwork.unflat(sum(np.frombuffer(r.total, np.float64) for r in rows) / sum(r.words for r in rows))
+    return WindowNetwork(network.ids, weights, network.totals, network.counts)
 
 
-def fit(docs: DataFrame, rounds: int = 2, text_col: str = "text", **settings) -> WindowNetwork:
+def fit(docs: DataFrame, rounds: int = 2, text_col: str = "text", scratch: Scratch | None = None, **settings) -> WindowNetwork:
     """Every word of every text is predicted once: each round takes another share of the places."""
-    network = begin(count_words(docs, text_col))
+    scratch = scratch or Scratch(docs.sparkSession)
+    network = begin(scratch.save(count_words(docs, text_col), "word-counts"))
     for k in range(rounds):
         network = train_round(docs, network, k, every=rounds, text_col=text_col, **settings)
     return network
 
 
-def score(docs: DataFrame, network: WindowNetwork, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, network: WindowNetwork, id_col: str = "doc_id", text_col: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """``doc_id, n_words, log_prob, mean_log_prob`` of each whole text.
 
-    ``log_prob`` sums each word's log-probability given up to two words on either side. Null and empty texts
-    have no words, 0 and a null mean. Repeated rows come out as often as they come in, with equal scores.
+    ``log_prob`` sums each word's log-probability given up to two words on either side; that of a word in a bucket is
+    the bucket's and the word's share of the bucket by its count. All words that weren't counted share one small count
+    in each bucket. Null and empty texts have no words, 0 and a null mean. Repeated rows come out as often as they come
+    in, with equal scores. Texts are scored by the network first; the counts of a chunk's distinct words then
+    meet its scores.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(network)
-    schema = T.StructType([T.StructField("doc_id", docs.schema[id_col].dataType), T.StructField("n_words", T.LongType()), T.StructField("log_prob", T.DoubleType())])
+    spark, scratch = docs.sparkSession, scratch or Scratch(docs.sparkSession)
+    shared = spark.sparkContext.broadcast(network)
+    kind = docs.schema[id_col].dataType
+    chunked = T.StructType([T.StructField("chunk", T.LongType()), T.StructField("ids", T.ArrayType(kind)), *(T.StructField(c, T.BinaryType()) for c in ("sizes", "sums", "rare", "places")), T.StructField("keys", T.ArrayType(T.LongType()))])
 
     def run(batches):
+        number, waiting, words = TaskContext.get().partitionId() << 32, [], 0
+
+        def chunk():
+            ids, sizes, sums, rare, keys = zip(*waiting)
+            keys, places = np.unique(np.concatenate(keys), return_inverse=True)
+            whole = pa.concat_arrays(ids)
+            blobs = [pa.array([np.concatenate(x).tobytes()], pa.binary()) for x in (sizes, sums, rare, [places.astype(np.int32)])]
+            lists = [pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x) for x in (whole, pa.array(keys.view(np.int64)))]
+            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), lists[0], *blobs, lists[1]], chunked.names)
+
         for batch in batches:
             for a in range(0, len(batch), 256):
                 part = batch.slice(a, 256)
-                ids, sizes = shared.value.encode(part.column(1).to_pylist())
+                keys, sizes = shared.value.keys(part.column(1).to_pylist())
+                ids = ids_of(keys)
                 at, found = np.flatnonzero(ids < SIZE), np.empty(int(sizes.sum()))
                 for b in range(0, len(at), BLOCK):
                     found[b : b + BLOCK] = shared.value.log_probs(ids, at[b : b + BLOCK])
-                ends = np.cumsum(sizes)
-                sums = [float(found[e - n : e].sum()) for e, n in zip(ends.tolist(), sizes.tolist())]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes), pa.array(sums, pa.float64())], schema.names)
+                rare = ids[at] >= TOP
+                found[rare] -= shared.value.totals[ids[at][rare] - TOP]
+                owner = np.repeat(np.arange(len(sizes)), sizes)
+                waiting.append((part.column(0), sizes, np.bincount(owner, found, len(sizes)), np.bincount(owner[rare], minlength=len(sizes)), keys[at][rare]))
+                words += len(at)
+                if words >= CHUNK_WORDS:
+                    yield chunk()
+                    number, waiting, words = number + 1, [], 0
+        if waiting:
+            yield chunk()
 
-    rows = docs.select(F.col(id_col), F.col(text_col)).mapInArrow(run, schema)
+    def keyed(batches):
+        for batch in batches:
+            words = batch.column(0).to_pylist()
+            yield pa.RecordBatch.from_arrays([pa.array(np.fromiter(map(bucket_key, words), np.uint64, len(words)).view(np.int64)), batch.column(1)], ["key", "n"])
+
+    def meet(scored: pa.Table, counts: pa.Table) -> pa.Table:
+        sizes, sums, rare, places = (np.frombuffer(scored.column(c)[0].as_py(), t) for c, t in (("sizes", np.int64), ("sums", np.float64), ("rare", np.int64), ("places", np.int32)))
+        n = np.full(int(places.max(initial=-1)) + 1, UNSEEN)
+        n[counts.column("place").to_numpy()] += counts.column("n").to_numpy()
+        own = np.bincount(np.repeat(np.arange(len(rare)), rare), np.log(n)[places], len(rare))
+        return pa.table([scored.column("ids").combine_chunks().flatten(), pa.array(sizes), pa.array(sums + own)], out.names)
+
+    out = T.StructType([T.StructField("doc_id", kind), T.StructField("n_words", T.LongType()), T.StructField("log_prob", T.DoubleType())])
+    scored = scratch.save(docs.select(F.col(id_col), F.col(text_col)).mapInArrow(run, chunked), "scored")
+    found = scored.select("chunk", F.posexplode("keys").alias("place", "key")).withColumnRenamed("chunk", "of")
+    if network.counts is None:
+        found = found.where("false").select("of", "place", F.col("key").alias("n"))
+    else:
+        found = found.join(network.counts.mapInArrow(keyed, "key long, n long"), "key").select("of", "place", "n")
+    rows = scored.drop("keys").groupBy("chunk").cogroup(found.groupBy("of")).applyInArrow(meet, out)
     return rows.withColumn("mean_log_prob", F.when(F.col("n_words") > 0, F.col("log_prob") / F.col("n_words")))

@@ -91,8 +91,8 @@ def op9_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_masked_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Masked pseudo-likelihood of every document under a network trained on all of them."""
-    docs = documents(spark, sf_dir)
-    return masked_lm.score(docs, masked_lm.fit(docs))
+    scratch, docs = Scratch(spark), documents(spark, sf_dir)
+    return scratch.finish(masked_lm.score(docs, masked_lm.fit(docs, scratch=scratch), scratch=scratch))
 
 
 QUERIES = {"op1_token_orc": op1_token_orc, "op2_ngram_jaccard": op2_ngram_jaccard, "op3_ball_tree": op3_ball_tree, "op4_language_crf": op4_language_crf, "op5_bpe": op5_bpe, "op6_quality": op6_quality, "op7_toxicity": op7_toxicity, "op8_decontaminate": op8_decontaminate, "op9_substring_dedup": op9_substring_dedup, "op10_masked_lm": op10_masked_lm}
