@@ -20,12 +20,12 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents linked by a Jaccard similarity of 0.9 or more over 3-word shingles the one with the smallest id.
+    """Of documents linked by a Jaccard similarity of 0.8 or more over 5-word shingles the one with the smallest id.
 
     Documents without words stay; of rows that repeat id and text one stays.
     """
     scratch = Scratch(spark)
-    found = scratch.finish(ngram_jaccard.jaccard_components(docs, scratch=scratch))
+    found = scratch.finish(ngram_jaccard.jaccard_components(docs, width=5, num=80, den=100, scratch=scratch))
     kept = found.where("doc_id <=> component_id").select(F.col("doc_id").alias("kept_id")).distinct()
     return docs.join(kept, docs.doc_id.eqNullSafe(kept.kept_id), "left_semi").dropDuplicates(["doc_id", "text"])
 

@@ -32,6 +32,17 @@ def test_whole_run(spark):
     assert got == want and 0 < len(got) < len(rows)
 
 
+def test_near_copies_by_five_word_shingles(spark):
+    """Copies with a word substituted, or text appended, that are under 0.9 over 3 words and over 0.8 over 5."""
+    base = [f"w{k}" for k in range(70)]
+    rows = [(1, " ".join(base)), (2, " ".join(base[:35] + ["x"] + base[36:])), (3, " ".join(base + [f"y{k}" for k in range(14)])), (4, " ".join(base[:50] + [f"z{k}" for k in range(20)]))]
+    docs = spark.createDataFrame([(i, t, "en", "a", len(t)) for i, t in rows], DOCS)
+    assert [c for *_, c in brute_components(rows)] == [1, 1, 3, 4]
+    assert [c for *_, c in brute_components(rows, 5, 80)] == [1, 1, 1, 4]
+    kept = corpus_pipeline.keep_one_of_near_copies(spark, docs, SF)
+    assert sorted(r.doc_id for r in kept.collect()) == [1, 4]
+
+
 @pytest.mark.parametrize("stage", range(5))
 def test_stages_on_messy_and_empty_tables(spark, stage):
     name, make = corpus_pipeline.STAGES[stage]
