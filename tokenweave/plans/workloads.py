@@ -1,4 +1,4 @@
-"""Every method, variant, baseline, measure and workload as a named query over the given tables, with its SQL."""
+"""Methods, variants, baselines, measures and workloads as named queries over the given tables, with their SQL (README: what is left out)."""
 
 from __future__ import annotations
 
