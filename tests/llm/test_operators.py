@@ -7,10 +7,11 @@ import zlib
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from tokenweave.llm import ball_tree, bpe, common, decontaminate, graph, language_crf, masked_lm, ngram_jaccard, quality, queries, substring_dedup, token_orc, toxicity
+from tokenweave.llm import ball_tree, bpe, common, decontaminate, graph, language_crf, masked_lm, ngram_jaccard, parts, quality, queries, substring_dedup, token_orc, toxicity
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
 VOCABULARY = queries.tokenizer_path()
@@ -96,15 +97,22 @@ def test_bpe_matches_the_library(spark, messy):
 
 
 def test_both_coders_on_random_text():
+    """Odd white space, marks, contractions and special tokens in all orders, cut into slices of all sizes."""
     rng, t = random.Random(5), tokenizer()
-    parts = [*"ab 1'sß \n\t\r\x0b\x1c\x85　é.!<|", "  ", "<|endoftext|>", "'ll", "日本", "word", " the", "...", "$$$"]
-    texts = ["".join(rng.choice(parts) for _ in range(rng.randint(0, 14))) for _ in range(4000)]
-    want = [x.ids for x in t.encode_batch(texts, add_special_tokens=False)]
-    own, library = bpe.MergeCoder(VOCABULARY), token_orc.LibraryCoder(VOCABULARY)
-    assert [np.frombuffer(x, "<u4").tolist() for x in own.encode_all(texts)] == want
-    assert [np.frombuffer(x, "<u4").tolist() for x in library.encode_all(texts)] == want
-    odd = [[rng.randrange(50257) for _ in range(5)] for _ in range(500)]
-    assert [own.decode(x) for x in odd] == [t.decode(x, skip_special_tokens=False) for x in odd]
+    odd = [*"ab 1'sß \n\t\r\x0b\x1c\x85\u00a0\u3000\u200bé.!<|", "  ", "\n\n", "<|endoftext|>", "'ll", "日本", "word", " the", "...", "$$$", "x.", "é,", "ﬁ.", "𞤀."]
+    usual = ["a", "b", "word", "the", ".", ",", "'s", "9", " ", " ", " ", "\n", "\n ", " \n", "  "]
+    texts = ["".join(rng.choice(some) for _ in range(rng.randint(0, 14))) for some in (odd, usual) for _ in range(4000)] + [None, ""]
+    want = [x.ids for x in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
+    for coder in (bpe.MergeCoder(VOCABULARY), token_orc.LibraryCoder(VOCABULARY)):
+        for step in (1, 7, len(texts)):
+            n = 300 if step == 1 else len(texts)
+            got = [x for a in range(0, n, step) for x in coder.encode(pa.array(texts[a : a + step])[: n - a]).to_pylist()]
+            assert got == want[:n]
+        assert coder.encode(pa.array(texts), 0).to_pylist() == [[*x, 0] for x in want]
+    foreign = [[rng.randrange(50257) for _ in range(5)] for _ in range(500)]
+    own = bpe.Decoder(VOCABULARY)
+    assert [own.decode(x) for x in foreign] == [t.decode(x, skip_special_tokens=False) for x in foreign]
+    assert [(a, n) for a, n in parts.slices(pa.array(["aaaa", None, "b", "cc", "d" * 9, ""]), 4)] == [(0, 2), (2, 2), (4, 1), (5, 1)]
 
 
 def test_decode_of_null_and_foreign_ids(spark):

@@ -21,15 +21,12 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import Kept
+from .parts import PartCoder, lists_of, slices
 
 #: Pieces that a merge never crosses: fixed by the format of byte-level BPE files.
 PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-#: A blank between two white-space characters (or before the end): there a text can't be cut at blanks.
-INNER_BLANK = re.compile(r"\s (?:\s|\Z)")
-#: Python's white space (re, str) and the pieces' \s (regex) differ in these only; texts with them aren't cut.
-SEPARATORS = re.compile("[\x1c-\x1f]")
-#: Parts of texts that a worker keeps, and texts encoded at once.
-CACHED, STEP = 800_000, 128
+#: Pieces whose ids a worker keeps.
+CACHED = 50_000
 
 
 def byte_letters() -> list[str]:
@@ -39,24 +36,14 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in shown else chr(next(spare)) for b in range(256)]
 
 
-def blank_cut(text: str) -> list[str] | None:
-    """The parts of a text between blanks, where a cut before each blank is a border of pieces; None where it isn't.
-
-    All parts but the first stand for themselves with a blank in front.
-    """
-    return None if INNER_BLANK.search(text) or SEPARATORS.search(text) else text.split(" ")
-
-
-class MergeCoder:
-    """Encoder and decoder for one vocabulary file."""
+class MergeCoder(PartCoder):
+    """Encoder for one vocabulary file."""
 
     def __init__(self, path: str):
         with open(path, encoding="utf-8") as f:
             data = json.load(f)
         model = data["model"]
         self.ids = model["vocab"]
-        self.letters = byte_letters()
-        self.bytes_of = {c: b for b, c in enumerate(self.letters)}
         self.special = {x["content"]: x["id"] for x in data["added_tokens"]}
         pairs = [x.split(" ") if isinstance(x, str) else x for x in model["merges"]]
         self.left, self.right, self.made = ([self.ids[w] for w in ws] for ws in ([a for a, _ in pairs], [b for _, b in pairs], [a + b for a, b in pairs]))
@@ -64,16 +51,10 @@ class MergeCoder:
         self.rank: list[dict[int, int]] = [{} for _ in range(1 + max(self.ids.values()))]
         for k, (a, b) in enumerate(zip(self.left, self.right)):
             self.rank[a][b] = k
-        self.first = [self.ids[c] for c in self.letters]
+        self.first = [self.ids[c] for c in byte_letters()]
         self.cut_special = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
-        size = 1 + max([*self.ids.values(), *self.special.values()])
-        self.raw: list[bytes] = [b""] * size
-        for word, k in self.ids.items():
-            self.raw[k] = bytes(self.bytes_of[c] for c in word)
-        for word, k in self.special.items():
-            self.raw[k] = word.encode()
-        self.pieces = Kept(lambda piece: array("I", self.merge(piece)).tobytes(), CACHED // 2)
-        self.units = Kept(lambda part: b"".join(map(self.pieces.__getitem__, PIECES.findall(" " + part))), CACHED)
+        self.pieces = Kept(lambda piece: array("I", self.merge(piece)).tobytes(), CACHED)
+        super().__init__(lambda texts: list(map(self._whole, texts)), lambda parts: lists_of(list(map(self._plain, parts.to_pylist()))), list(self.special))
 
     def merge(self, piece: str) -> list[int]:
         """Token ids of one piece. A queue entry is a merge rank and, in the low half, the position of its left symbol."""
@@ -110,37 +91,38 @@ class MergeCoder:
                 push(queue, r << shift | i)
         return [s for s in symbols if s >= 0]
 
-    def _pieces(self, text: str) -> bytes:
-        """Ids of a text piece by piece, special tokens apart."""
+    def _plain(self, text: str) -> bytes:
+        """Ids of a text without special tokens, piece by piece."""
+        return b"".join(map(self.pieces.__getitem__, PIECES.findall(text)))
+
+    def _whole(self, text: str) -> bytes:
         if self.cut_special is None or not self.cut_special.search(text):
-            return b"".join(map(self.pieces.__getitem__, PIECES.findall(text)))
-        return b"".join(self.special[p].to_bytes(4, "little") if p in self.special else b"".join(map(self.pieces.__getitem__, PIECES.findall(p))) for p in self.cut_special.split(text))
+            return self._plain(text)
+        return b"".join(self.special[p].to_bytes(4, "little") if p in self.special else self._plain(p) for p in self.cut_special.split(text))
 
-    def encode_all(self, texts: list[str | None]) -> list[bytes]:
-        """Ids of each text as little-endian 32-bit integers; null has none."""
-        texts = [t or "" for t in texts]
-        parts = [None if self.cut_special and self.cut_special.search(t) else blank_cut(t) for t in texts]
-        first = [self._pieces(t if p is None else p.pop(0)) for t, p in zip(texts, parts)]
-        unit = self.units.__getitem__
-        return [f + b"".join(map(unit, p)) if p else f for f, p in zip(first, parts)]
+    def ids_of(self, text: str | None) -> list[int]:
+        return np.frombuffer(self._whole(text or ""), "<u4").tolist()
 
-    def encode(self, text: str | None) -> list[int]:
-        return np.frombuffer(self.encode_all([text])[0], "<u4").tolist()
 
-    def decode(self, ids) -> str:
-        """The text of ids; bytes that aren't UTF-8 become U+FFFD, and ids outside the vocabulary nothing."""
-        raw, n = self.raw, len(self.raw)
-        try:
-            joined = b"".join(map(raw.__getitem__, ids))
-        except IndexError:
-            joined = b"".join(raw[k] for k in ids if 0 <= k < n)
-        return joined.decode("utf-8", "replace")
+class Decoder:
+    """The bytes of each id of a vocabulary file."""
 
+    def __init__(self, path: str):
+        with open(path, encoding="utf-8") as f:
+            data = json.load(f)
+        bytes_of = {c: b for b, c in enumerate(byte_letters())}
+        words, special = data["model"]["vocab"], {x["content"]: x["id"] for x in data["added_tokens"]}
+        self.raw: list[bytes] = [b""] * (1 + max([*words.values(), *special.values()]))
+        for word, k in words.items():
+            self.raw[k] = bytes(bytes_of[c] for c in word)
+        for word, k in special.items():
+            self.raw[k] = word.encode()
 
-def id_lists(raw: list[bytes]) -> pa.ListArray:
-    """Arrays of 32-bit integers from their bytes."""
-    ends = np.cumsum([0] + [len(x) // 4 for x in raw])
-    return pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(np.frombuffer(b"".join(raw), "<i4")))
+    def decode(self, ids: np.ndarray) -> str:
+        """The text of ids; bytes that aren't UTF-8 become U+FFFD, and ids outside the vocabulary nothing."""
+        ids = np.asarray(ids)
+        known = ids[(ids >= 0) & (ids < len(self.raw))]
+        return b"".join(map(self.raw.__getitem__, known.tolist())).decode("utf-8", "replace")
 
 
 @lru_cache(maxsize=4)
@@ -149,6 +131,11 @@ def coder(path: str) -> MergeCoder:
     return MergeCoder(path)
 
 
+@lru_cache(maxsize=4)
+def decoder(path: str) -> Decoder:
+    return Decoder(path)
+
+
 def encode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id, ids``: the token ids of every text, as array<int>.
 
@@ -160,9 +147,9 @@ def encode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
     def run(batches):
         make = coder(vocabulary)
         for batch in batches:
-            for at in range(0, len(batch), STEP):
-                part = batch.slice(at, STEP)
-                yield pa.RecordBatch.from_arrays([part.column(0), id_lists(make.encode_all(part.column(1).to_pylist()))], [id_col, "ids"])
+            for at, n in slices(batch.column(1)):
+                part = batch.slice(at, n)
+                yield pa.RecordBatch.from_arrays([part.column(0), make.encode(part.column(1))], [id_col, "ids"])
 
     return df.select(F.col(id_col), F.col(text_col)).mapInArrow(run, schema)
 
@@ -172,11 +159,11 @@ def decode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", ids_col: str
     schema = T.StructType([df.schema[id_col], *([T.StructField("ids", T.ArrayType(T.IntegerType(), False))] * keep_ids), T.StructField("text", T.StringType())])
 
     def run(batches):
-        make = coder(vocabulary)
+        make = decoder(vocabulary)
         for batch in batches:
             lists = batch.column(1)
             flat, starts, sizes = np.asarray(lists.values), lists.offsets.to_numpy(), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
-            texts = [make.decode(flat[a : a + n].tolist()) for a, n in zip(starts[:-1], sizes)]
+            texts = [make.decode(flat[a : a + n]) for a, n in zip(starts[:-1], sizes)]
             yield pa.RecordBatch.from_arrays([batch.column(0), *([lists] * keep_ids), pa.array(texts, pa.string())], schema.names)
 
     return df.select(F.col(id_col), F.col(ids_col).cast("array<int>")).mapInArrow(run, schema)

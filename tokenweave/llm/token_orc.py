@@ -4,112 +4,67 @@ from __future__ import annotations
 
 import zlib
 from functools import lru_cache
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .bpe import CACHED, INNER_BLANK, SEPARATORS, STEP, byte_letters, id_lists
+from .parts import PartCoder, slices
 
-#: A byte that no letter's UTF-8 has: words joined for the library are told apart by it.
-BORDER = 0x0B
-#: Marks whose run after a letter is a piece of its own, so that a word and the marks after it are encoded apart.
-MARKS = ".,;:!?$%&*#|"
+#: Parts that the library encodes as one text.
+JOINED = 20_000
 #: Bytes of a stripe, and rows between two entries of its row index.
 STRIPE, STRIDE = 16 << 20, 1000
 
 
-class LibraryCoder:
-    """The tokenizers library, asked once for each part between blanks in a line (merges never cross those).
+class LibraryCoder(PartCoder):
+    """The tokenizers library over each distinct part of the texts.
 
-    New words of letters alone, which are one piece each, go to the library together: its model encodes them
-    with a border character between them that is a token of its own. All else takes its usual way.
+    Parts go to it together, as the text that they make one after the other. Each begins with the only blank or line end
+    in it, so that a token that begins with one begins a part. Parts of letters a-z alone are one piece each: they go to the
+    same model through a cut at blanks, which is quicker than the pattern for all pieces.
     """
 
     def __init__(self, path: str):
-        from tokenizers import Regex, Tokenizer, pre_tokenizers
-
-        self.usual, self.words = Tokenizer.from_file(path), Tokenizer.from_file(path)
-        for x in (self.usual, self.words):
-            x.no_padding()
-            x.no_truncation()
-        self.special = [x.content for x in self.usual.get_added_tokens_decoder().values()]
-        self.letters = byte_letters()
-        self.border = self.letters[BORDER]
-        self.words.pre_tokenizer = pre_tokenizers.Split(Regex(self.border), "isolated")
-        self.border_id = self.words.token_to_id(self.border)
-        self.cache: dict[str, bytes] = {}
-        self.marks: dict[str, bytes] = {}
-        self.begins: dict[str, bytes] = {}  # of parts that begin a line, without a blank
-        self.newline = self._ask(["\n"])[0]
-
-    def _ask(self, texts: list[str]) -> list[bytes]:
-        return [np.array(x.ids, "<u4").tobytes() for x in self.usual.encode_batch_fast(texts, add_special_tokens=False)]
-
-    def _ask_words(self, words: list[str]) -> list[bytes]:
-        """Ids of each word with a blank in front."""
-        if not words:
-            return []
-        blank, letters = self.letters[0x20], self.letters
-        spelt = [blank + (w if w.isascii() else "".join([letters[b] for b in w.encode()])) for w in words]
-        ids = np.array(self.words.encode_batch_fast([self.border.join(spelt)], add_special_tokens=False)[0].ids, "<u4")
-        cuts = np.flatnonzero(ids == self.border_id)
-        starts, ends, raw = (np.append(0, cuts + 1) * 4).tolist(), (np.append(cuts, len(ids)) * 4).tolist(), ids.tobytes()
-        return [raw[a:b] for a, b in zip(starts, ends, strict=True)]
-
-    def _learn(self, new: set[str]) -> None:
-        """Put new parts, which have a blank in front, into the cache."""
-        cache = self.cache
-        split = {x: word for x in new if (word := x.rstrip(MARKS)).isalpha()}
-        words = list(set(split.values()).difference(cache))
-        cache.update(zip(words, self._ask_words(words)))
-        for x, word in split.items():
-            if x != word:
-                mark = x[len(word) :]
-                if mark not in self.marks:
-                    self.marks[mark] = self._ask([mark])[0]
-                cache[x] = cache[word] + self.marks[mark]
-        other = list(new.difference(split))
-        cache.update(zip(other, self._ask([" " + x for x in other])))
-
-    def encode_all(self, texts: list[str | None]) -> list[bytes]:
-        """Ids of each text as little-endian 32-bit integers; null has none."""
-        cache, begins = self.cache, self.begins
-        if len(cache) >= CACHED:
-            cache.clear()
-        if len(begins) >= CACHED // 8:
-            begins.clear()
-        plain, lines, odd = [], [], {}
-        for k, text in enumerate(texts):
-            own = text.split("\n") if text else ()
-            if own and (any(x in text for x in self.special) or SEPARATORS.search(text) or INNER_BLANK.search(text) or "" in own or any(x[0].isspace() or x[-1].isspace() for x in own)):
-                odd[k], own = self._ask([text])[0], ()
-            plain.append(len(own))
-            lines += own
-        parts = [x.split(" ") for x in lines]
-        first = [p.pop(0) for p in parts]
-        new = list(set(first).difference(begins))
-        begins.update(zip(new, self._ask(new)))
-        words = list(chain.from_iterable(parts))
-        found = list(map(cache.get, words))
-        if None in found:
-            self._learn({x for x, y in zip(words, found) if y is None})
-            found = [cache[x] if y is None else y for x, y in zip(words, found)]
-        out, line, at, newline = [], 0, 0, self.newline
-        for k, n in enumerate(plain):
-            made = []
-            for j in range(line, line + n):
-                m = len(parts[j])
-                made.append(begins[first[j]])
-                made += found[at : at + m]
-                made.append(newline)
-                at += m
-            line += n
-            out.append(odd.get(k, b"") if not n else b"".join(made[:-1]))
-        return out
+        from tokenizers import Tokenizer, pre_tokenizers
+
+        self.library = Tokenizer.from_file(path)
+        self.library.no_padding()
+        self.library.no_truncation()
+        self.by_blanks = Tokenizer(self.library.model)
+        self.by_blanks.pre_tokenizer = pre_tokenizers.CharDelimiterSplit(" ")
+        self.blank, line = (self.library.encode(x, add_special_tokens=False).tokens[0] for x in " \n")
+        vocabulary = self.library.get_vocab()
+        self.begins = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.begins[[k for word, k in vocabulary.items() if word[0] in (self.blank, line)]] = True
+        super().__init__(self._whole, self._parts, [x.content for x in self.library.get_added_tokens_decoder().values()])
+
+    def _whole(self, texts: list[str]) -> list[bytes]:
+        return [np.array(x.ids, "<u4").tobytes() for x in self.library.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _parts(self, parts: pa.StringArray) -> pa.ListArray:
+        plain = pc.match_substring_regex(parts, r"\A [A-Za-z]+\z")
+        letters, rest = parts.filter(plain), parts.filter(pc.invert(plain))
+        letters = pc.replace_substring(letters, " ", f" {self.blank}")
+        found = pa.concat_arrays([self._joined(letters, self.by_blanks), self._joined(rest, self.library)])
+        plain = plain.to_numpy(zero_copy_only=False)
+        return found.take(pa.array(np.where(plain, np.cumsum(plain) - 1, len(letters) + np.cumsum(~plain) - 1)))
+
+    def _joined(self, parts: pa.StringArray, library) -> pa.ListArray:
+        sizes, flat = [np.zeros(1, np.int64)], [np.empty(0, np.int32)]
+        for a in range(0, len(parts), JOINED):
+            some = parts[a : a + JOINED]
+            text = pc.binary_join(pa.ListArray.from_arrays([0, len(some)], some), "")[0].as_py()
+            ids = np.array(library.encode_batch_fast([text], add_special_tokens=False)[0].ids, np.int32)
+            starts = np.flatnonzero(self.begins[ids])
+            if len(starts) != len(some):
+                raise ValueError("this vocabulary's pieces don't begin at blanks")
+            sizes.append(np.diff(starts, append=len(ids)))
+            flat.append(ids)
+        return pa.ListArray.from_arrays(pa.array(np.cumsum(np.concatenate(sizes)).astype(np.int32)), pa.array(np.concatenate(flat)))
 
 
 @lru_cache(maxsize=4)
@@ -128,16 +83,15 @@ def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int = 0, id_c
     rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     ranged = (rows.repartitionByRange(partitions, "doc_id") if partitions else rows.repartitionByRange("doc_id")).sortWithinPartitions("doc_id", F.xxhash64("text"))
     schema = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("file_no", T.IntegerType()), T.StructField("file_start", T.LongType()), T.StructField("n_ids", T.IntegerType()), T.StructField("ids", T.ArrayType(T.IntegerType(), False))])
-    tail = int(end_id).to_bytes(4, "little")
 
     def run(batches):
         from pyspark import TaskContext
 
         make, number, before = library_coder(tokenizer), TaskContext.get().partitionId(), 0
         for batch in batches:
-            for at in range(0, len(batch), STEP):
-                part = batch.slice(at, STEP)
-                ids = id_lists([x + tail for x in make.encode_all(part.column(1).to_pylist())])
+            for at, n in slices(batch.column(1)):
+                part = batch.slice(at, n)
+                ids = make.encode(part.column(1), end_id)
                 ends = ids.offsets.to_numpy().astype(np.int64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.full(len(part), number, np.int32)), pa.array(before + ends[:-1]), pa.array(np.diff(ends).astype(np.int32)), ids], schema.names)
                 before += int(ends[-1])
