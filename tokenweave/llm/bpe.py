@@ -15,6 +15,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -25,8 +26,8 @@ from .parts import PartCoder, lists_of, slices
 
 #: Pieces that a merge never crosses: fixed by the format of byte-level BPE files.
 PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+")
-#: Pieces whose ids a worker keeps.
-CACHED = 50_000
+#: Pieces whose ids a worker keeps; bytes of text encoded, and ids decoded, at once.
+CACHED, SLICE, DECODED = 50_000, 6 << 20, 1 << 20
 
 
 def byte_letters() -> list[str]:
@@ -147,7 +148,7 @@ def encode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str
     def run(batches):
         make = coder(vocabulary)
         for batch in batches:
-            for at, n in slices(batch.column(1)):
+            for at, n in slices(batch.column(1), SLICE):
                 part = batch.slice(at, n)
                 yield pa.RecordBatch.from_arrays([part.column(0), make.encode(part.column(1))], [id_col, "ids"])
 
@@ -161,9 +162,13 @@ def decode(df: DataFrame, vocabulary: str, id_col: str = "doc_id", ids_col: str
     def run(batches):
         make = decoder(vocabulary)
         for batch in batches:
-            lists = batch.column(1)
-            flat, starts, sizes = np.asarray(lists.values), lists.offsets.to_numpy(), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
-            texts = [make.decode(flat[a : a + n]) for a, n in zip(starts[:-1], sizes)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *([lists] * keep_ids), pa.array(texts, pa.string())], schema.names)
+            ends = np.cumsum(pc.fill_null(pc.list_value_length(batch.column(1)), 0).to_numpy())
+            for rows in np.split(np.arange(len(batch)), np.flatnonzero(np.diff(ends // DECODED)) + 1):
+                if len(rows):
+                    part = batch.slice(rows[0], len(rows))
+                    lists = part.column(1)
+                    flat, starts, sizes = np.asarray(lists.values), lists.offsets.to_numpy(), lists.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
+                    texts = [make.decode(flat[a : a + n]) for a, n in zip(starts[:-1], sizes)]
+                    yield pa.RecordBatch.from_arrays([part.column(0), *([lists] * keep_ids), pa.array(texts, pa.string())], schema.names)
 
     return df.select(F.col(id_col), F.col(ids_col).cast("array<int>")).mapInArrow(run, schema)
