@@ -426,16 +426,29 @@ def test_substring_removal_on_messy_rows(messy):
     assert {r.doc_id: r.n_removed for r in got}[1] >= 100
 
 
-def test_runs_are_compacted(spark):
-    rng = random.Random(1)
-    index = substring_dedup.FingerprintIndex(spark, common.Scratch(spark), fanout=2)
-    text = prose(rng, 200)
-    for k in range(3):
-        batch = spark.createDataFrame([(k, 0, text)], "doc long, tie long, text string")
-        removed = index.ingest(batch).first().n_removed
-        assert removed == (0 if k == 0 else 200)
-        assert len(index.runs) <= 2
-    assert index.runs[0].count() > 0
+def test_index_takes_batches_from_disk_and_compacts(spark, tmp_path):
+    """Each day another index object, loaded from its folder; runs grow, are compacted, and further occurrences stay known."""
+    rng, path, rows = random.Random(1), f"file://{tmp_path}/index", []
+    passages = [prose(rng, 24, [f"p{j}" for j in range(30)]) for _ in range(3)]
+    head = " ".join(passages[0].split()[:12])  # fingerprints in many texts, in windows of which none repeats
+    runs = []
+    for day in range(5):
+        scratch = common.Scratch(spark)
+        index = substring_dedup.FingerprintIndex.load(spark, scratch, path) if day else substring_dedup.FingerprintIndex(spark, scratch, path, buckets=5, places=4)
+        new = [(100 * day + k, rng.choice([head, rng.choice(passages), prose(rng, 9)]) + " " + prose(rng, rng.randint(0, 40)) + " " + rng.choice(passages[day % 3 :])) for k in range(12)]
+        rows += new
+        marks = {r.doc: (r.begins, r.ends) for r in index.ingest(spark.createDataFrame([(i, 0, t) for i, t in new], "doc long, tie long, text string")).collect()}
+        want = brute_removal(rows)
+        for i, _ in new:
+            assert sum(b - a for a, b in zip(*marks.get(i, ([], [])))) == want[i][1], (day, i)
+        index.save()
+        runs.append(len(index.live))
+        assert sum(len(substring_dedup.unblock(index._table("runs", index.live).toArrow(), "a")[0]) for _ in [0]) > 0
+        if day == 1:
+            plan = index._matched(spark.createDataFrame([], substring_dedup.BLOCK))._jdf.queryExecution().executedPlan().toString()
+            assert plan.count("Exchange") == 1 and "Bucketed: true" in plan  # history stays where it is
+        index.close()
+    assert runs == [1, 2, 1, 2, 1]
 
 
 def test_substring_removal_of_nothing(empty):
@@ -509,8 +522,25 @@ def test_hashing_pieces():
     g = common.gram_hashes(h, 2)
     assert g[0] == g[2] and g[1] == g[3] and g[0] != g[1]
     assert len(common.gram_hashes(h, 6)) == 0
-    at, values = substring_dedup.winnow(common.word_hashes([str(k).encode() for k in range(40)]), 6, 20)
-    assert all(np.any((at >= s) & (at <= s + 14)) for s in range(21)) and len(at) == len(values)
+    hashes, ends = common.text_words(pa.array([" ".join(map(str, range(40))), "", None, "one two", " ".join(map(str, range(10, 50)))]))
+    at, values = substring_dedup.winnow(hashes, ends, 6, 20)
+    for low in (0, 42):
+        assert all(np.any((at >= s) & (at <= s + 14)) for s in range(low, low + 21)) and len(at) == len(values)
+    assert ends.tolist() == [0, 40, 40, 40, 42, 82] and not np.any((at > 34) & (at < 42))
+
+
+def test_words_and_their_hashes():
+    """Words of all texts at once are those of each text alone; equal words have equal hashes, others others."""
+    rng, word_of, hash_of = random.Random(1), {}, {}
+    some = ["a", "b", "ab", "\t", " ", "\n", "\x0b", "\x1c", "é", "xyzxyzxy", "日", "A", "Q" * 9, "z" * 300, "\u00a0"]
+    for lower in (False, True):
+        for n in (0, 1, 5, 400):
+            texts = ["".join(rng.choice(some) for _ in range(rng.randint(0, 12))) if rng.random() < 0.9 else None for _ in range(n)]
+            hashes, ends = common.text_words(pa.array(["pad x", *texts], pa.string()).slice(1), lower)
+            for k, text in enumerate(texts):
+                words, found = common.words_of(text, lower), hashes[ends[k] : ends[k + 1]].tolist()
+                assert len(words) == len(found)
+                assert all(word_of.setdefault(h, w) == w and hash_of.setdefault(w, h) == h for w, h in zip(words, found))
 
 
 def test_digests_of_queries(spark):

@@ -6,8 +6,11 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -54,21 +57,28 @@ class Scratch:
 
     def __init__(self, spark: SparkSession):
         self.spark, self.root, self.paths = spark, f"{shared_dir(spark)}/run-{uuid.uuid4().hex}", []
-        self.made = 0
+        self.made, self.names = 0, []
 
     def path(self, name: str) -> str:
         self.made += 1
         self.paths.append(f"{self.root}/{self.made:03d}-{name}")
         return self.paths[-1]
 
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        path, conf = self.path(name), self.spark.conf
+    @contextmanager
+    def cleaning(self):
+        """The shuffles of what is written inside are deleted: the written table stands for the plan, nobody reads them again."""
+        conf = self.spark.conf
         before = conf.get(CLEANUP, "false")
-        conf.set(CLEANUP, "true")  # the written table stands for the plan, whose shuffles nobody reads again
+        conf.set(CLEANUP, "true")
         try:
-            df.write.parquet(path)
+            yield
         finally:
             conf.set(CLEANUP, before)
+
+    def save(self, df: DataFrame, name: str) -> DataFrame:
+        path = self.path(name)
+        with self.cleaning():
+            df.write.parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out.scratch_path = path
         return out
@@ -82,8 +92,11 @@ class Scratch:
 
     def finish(self, df: DataFrame) -> DataFrame:
         out = self.save(df, "result")
+        for name in self.names:  # of the session's catalogue
+            self.spark.sql(f"DROP TABLE IF EXISTS {name}")
         for path in self.paths[:-1]:
             remove(self.spark, path)
+        self.paths, self.names = self.paths[-1:], []
         return out
 
 
@@ -118,15 +131,59 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 
 def gram_hashes(hashes: np.ndarray, n: int) -> np.ndarray:
-    """A hash for each run of n consecutive words: a polynomial in an odd base, then mixed."""
+    """A hash for each run of n consecutive words: a polynomial in an odd base, by doubling, then mixed."""
     if len(hashes) < n:
         return np.empty(0, U64)
-    out = hashes[: len(hashes) - n + 1].copy()
-    for k in range(1, n):
-        out = out * MIX_A + hashes[k : len(hashes) - n + 1 + k]
+    out, done = hashes, 1
+    for bit in bin(n)[3:]:
+        base = U64(pow(int(MIX_A), done, 1 << 64))
+        out, done = out[: len(out) - done] * base + out[done:], 2 * done
+        if bit == "1":
+            out, done = out[: len(out) - 1] * MIX_A + hashes[done : done + len(out) - 1], done + 1
     return mix(out)
 
 
+#: Masks of the low bytes of an integer.
+_LOW_BYTES = np.array([(1 << (8 * k)) - 1 for k in range(8)] + [(1 << 64) - 1], U64)
+#: Words of more bytes than this are hashed one by one.
+LONG_WORD = 256
+
+
+def text_words(texts: pa.Array, lower: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """64-bit hashes of all words of all texts, and where each text's words end (one entry more than texts, from 0).
+
+    Words are runs of bytes other than 0x20 and 0x09-0x0D; ``lower`` folds A-Z. Null texts have none. Each word is read
+    in steps of 8 bytes, all words at once.
+    """
+    texts = pc.fill_null(texts.cast(pa.string()), "")
+    offsets = np.frombuffer(texts.buffers()[1], np.int32)[texts.offset : texts.offset + len(texts) + 1].astype(np.int64)
+    raw = np.frombuffer(texts.buffers()[2] or b"", np.uint8)[offsets[0] : offsets[-1]]
+    offsets = offsets - offsets[0]
+    data = np.zeros(len(raw) + 8, np.uint8)
+    data[: len(raw)] = raw | (((raw - np.uint8(0x41)) < 26).view(np.uint8) << np.uint8(5)) if lower else raw
+    inside = (raw != 0x20) & ((raw - np.uint8(9)) > 4)
+    edge = np.zeros(len(raw) + 1, bool)
+    edge[offsets] = True
+    edge[1:-1] |= inside[1:] != inside[:-1]
+    at = np.flatnonzero(edge)
+    begins, sizes = at[:-1], np.diff(at)
+    words = inside[begins] if len(begins) else np.empty(0, bool)
+    begins, sizes = begins[words], sizes[words]
+    ends = np.searchsorted(begins, offsets)
+    eights = np.ndarray((len(raw) + 1,), "<u8", data, strides=(1,))
+    out = mix(sizes.astype(U64) * MIX_C)
+    long = sizes > LONG_WORD
+    rows = np.flatnonzero(~long)
+    done = 0
+    while len(rows):
+        left = sizes[rows] - done
+        out[rows] = mix((out[rows] ^ (eights[begins[rows] + done] & _LOW_BYTES[np.minimum(left, 8)])) * MIX_B)
+        rows, done = rows[left > 8], done + 8
+    for k in np.flatnonzero(long).tolist():
+        out[k] = WORD_HASH(data[begins[k] : begins[k] + sizes[k]].tobytes())
+    return out, ends
+
+
 def char_grams(words: list[str], sizes: tuple[int, ...], bits: int, edges: str = "<>") -> tuple[np.ndarray, np.ndarray]:
     """Buckets of all character n-grams of words between edge marks, and the words' positions in them (one more than words).
 
