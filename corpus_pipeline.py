@@ -34,7 +34,8 @@ def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     """All documents, without words of 20-word windows that begin earlier too; a changed text has one blank between
     words and its ``n_chars`` is counted anew, others stay as they are."""
     carry = [c for c in docs.columns if c not in ("doc_id", "text")]
-    kept = substring_dedup.dedup_substrings(docs, carry=carry, unchanged=True, scratch=Scratch(spark))
+    scratch = Scratch(spark)
+    kept = scratch.finish(substring_dedup.dedup_substrings(docs, carry=carry, unchanged=True, scratch=scratch))
     changed = F.col("n_removed") > 0
     columns = {"text": F.col("kept")} | ({"n_chars": F.when(changed, F.length("kept")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)} if "n_chars" in carry else {})
     return kept.select(*[columns[c].alias(c) if c in columns else F.col(c) for c in docs.columns])
