@@ -475,14 +475,15 @@ def test_masked_lm(spark, messy, empty):
 
 def test_masked_lm_tells_words_of_a_bucket_apart(spark):
     """Words outside the network's own list: their shares of the bucket follow their counts, and sum to one with the unseen."""
-    bucket = [w for w in (f"rare{k}" for k in range(5000)) if zlib.crc32(w.encode()) % masked_lm.BUCKETS == 9][:4]
+    rare = [f"rare{k}" for k in range(5000)]
+    bucket = [w for w, b in zip(rare, masked_lm.bucket_of(common.text_words(pa.array(rare))[0]).tolist()) if b == 9][:4]
     many, once, few, junk = bucket
     top = " ".join(f"top{k}" for k in range(masked_lm.TOP))
     texts = [(k, top) for k in range(12)] + [(20, f"{many} " * 8 + once), (21, f"{few} {few} {few}")]
     df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
     net = masked_lm.fit(df)
     got = {r.doc_id: r.log_prob for r in masked_lm.score(spark.createDataFrame(list(enumerate(bucket)), "doc_id long, text string"), net).collect()}
-    ids, _ = net.encode([many])
+    ids, *_ = net.encode([many])
     of_bucket = net.log_probs(ids, np.array([masked_lm.SPAN]))[0]
     share = [math.exp(got[k] - of_bucket) for k in range(4)]
     assert share == pytest.approx([8.5 / 14, 1.5 / 14, 3.5 / 14, 0.5 / 14], rel=1e-4)
@@ -496,15 +497,58 @@ def test_masked_lm_trains_on_every_word(spark):
     first = masked_lm.begin(masked_lm.count_words(df))
     for trained in (masked_lm.fit(df), masked_lm.fit(df, rounds=1), masked_lm.fit(df, rounds=3)):
         for probe in ("a b c d e f " * 3, "alone"):
-            ids, sizes = trained.encode([probe])
+            ids, sizes, _ = trained.encode([probe])
             at = masked_lm.SPAN + np.arange(sizes[0])
             assert (trained.log_probs(ids, at) > first.log_probs(ids, at) + 0.3).all()
 
 
+def test_masked_lm_does_not_depend_on_the_files(spark, monkeypatch):
+    """The same rows in one partition, in eight, and in another order: equal networks and scores, with several shards."""
+    monkeypatch.setattr(masked_lm, "SHARD_WORDS", 700)
+    rng = random.Random(3)
+    rows = [(k, prose(rng, rng.randint(0, 60))) for k in range(90)] + [(5, None), (None, "a b c"), (7, "again and again"), (7, "again and again")]
+    found = []
+    for n in (1, 8):
+        rng.shuffle(rows)
+        df = spark.createDataFrame(rows, "doc_id long, text string").repartition(n)
+        net = masked_lm.fit(df)
+        found.append((net.flat(), null_safe((r.doc_id, r.n_words, r.log_prob) for r in masked_lm.score(df, net).collect())))
+    assert (found[0][0] == found[1][0]).all()
+    assert [r[:2] for r in found[0][1]] == [r[:2] for r in found[1][1]] and [r[2] for r in found[0][1]] == pytest.approx([r[2] for r in found[1][1]], rel=1e-9)
+
+
+def test_masked_lm_scores_against_plain_code(spark):
+    """Sums of log-probabilities from the definition: one word at a time, with loops."""
+    rng = random.Random(13)
+    rows = [(k, prose(rng, rng.randint(1, 12), [f"v{j}" for j in range(1200)])) for k in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    net = masked_lm.fit(df)
+    counts = Counter(w for _, t in rows for w in t.split())
+    code = lambda w: int(net.ids_of(common.text_words(pa.array([w]))[0])[0])
+    totals = Counter()
+    for w, n in counts.items():
+        totals[code(w)] += n + masked_lm.UNSEEN
+    w = net.weights
+    softmax = lambda x: x - math.log(sum(math.exp(v) for v in x.tolist()))
+    got = {r.doc_id: r.log_prob for r in masked_lm.score(df, net).collect()}
+    for i, text in rows[:25]:
+        words, total = text.split(), 0.0
+        for k, word in enumerate(words):
+            hidden = w["bias"].astype(float)
+            for s, shift in enumerate(masked_lm.SHIFTS):
+                near = code(words[k + shift]) if 0 <= k + shift < len(words) else masked_lm.SIZE
+                hidden = hidden + w["embed"][s, near]
+            hidden, (kind, inner) = np.tanh(hidden), divmod(code(word), masked_lm.SIDE)
+            total += softmax(hidden @ w["classes"] + w["class_bias"])[kind] + softmax(hidden @ w["words"][kind] + w["word_bias"][kind])[inner]
+            if code(word) >= masked_lm.TOP:
+                total += math.log((counts[word] + masked_lm.UNSEEN) / (totals[code(word)] + masked_lm.UNSEEN))
+        assert got[i] == pytest.approx(total, rel=1e-4)
+
+
 def test_masked_lm_probabilities_sum_to_one():
     rng = np.random.default_rng(0)
     weights = {n: rng.normal(0, 0.3, s).astype(np.float32) for n, s in masked_lm.PARTS.items()}
-    net = masked_lm.WindowNetwork({}, weights)
+    net = masked_lm.WindowNetwork(np.empty(0, np.uint64), weights)
     ids = np.full(5, masked_lm.SIZE)
     total = 0.0
     for k in range(masked_lm.SIZE):
