@@ -277,30 +277,87 @@ def test_toxicity_counterfactuals(spark, messy, empty):
         if k % 4 == 0:
             text += f". {rng.choice(['the muslim is', 'you are'])} an {rng.choice(['idiot', 'moron', 'scum'])}"
         rows.append((k, text, int(k % 4 == 0)))
-    plain, fair = toxicity.train(rows, counterfactual=0.0), toxicity.train(rows, counterfactual=3.0, swaps_per_doc=4)
+    plain, fair = toxicity.train(rows, counterfactual=0.0), toxicity.train(rows, counterfactual=3.0)
     neutral = "the muslim went home."
-    assert fair.scores([neutral])[0] < 0.5 < plain.scores(["the muslim is an"])[0] or fair.scores([neutral])[0] < plain.scores([neutral])[0]
-    assert abs(fair.scores(["muslim"])[0] - fair.scores(["people"])[0]) < abs(plain.scores(["muslim"])[0] - plain.scores(["people"])[0])
-    assert fair.scores([prose(rng, 30) + " idiot"])[0] > 0.5
+    assert fair.scores([neutral])[0] < 0.5 < 0.9 < plain.scores([neutral])[0]
+    gap = lambda model: abs(model.scores(["muslim"])[0] - model.scores(["people"])[0])
+    assert gap(fair) < 0.02 and gap(plain) > 0.5
+    text = prose(rng, 30)
+    without, insult, whole = fair.scores([text, text + " idiot", text + ". you are an idiot"])
+    assert without < 0.05 and insult > plain.scores([text + " idiot"])[0] and insult > 0.3 and whole > 0.5
     got = messy.select(toxicity.scored(messy, fair).alias("s")).collect()
     assert len(got) == len(messy_rows()) and all(0 <= r.s <= 1 for r in got)
     assert empty.select(toxicity.scored(empty, fair).alias("s")).collect() == []
     assert toxicity.train([]).scores([None, "a"]) == [0.5, 0.5]
 
 
+def test_counterfactuals_of_texts():
+    """One copy for each name in a text, in all its sentences; without a name two names come in, another one each time."""
+    rng, names = np.random.default_rng(0), frozenset(["muslim", "woman"])
+    made = toxicity.counterfactuals("The muslim ate. A woman, a Muslim; no woman!", names, ("people",), rng)
+    tokens = {"the", "muslim", "ate.", "a", "woman,", "muslim;", "no", "woman!"}
+    assert made == [(tokens, tokens - {"muslim", "muslim;"} | {"people", "people;"}), (tokens, tokens - {"woman,", "woman!"} | {"people,", "people!"})]
+    ((a, b),) = toxicity.counterfactuals("no names", names, ("gay", "old"), rng)
+    assert {frozenset(a - {"no", "names"}), frozenset(b - {"no", "names"})} == {frozenset(["gay"]), frozenset(["old"])}
+
+
+def test_penalty_acts_on_the_given_labels():
+    """No labelled text of the small table holds a name; names inserted into copies still change the model."""
+    import duckdb
+
+    sf = "/root/testdata/sf0.01"
+    rows = duckdb.sql(f"SELECT doc_id, text, toxic FROM '{sf}/documents.parquet' JOIN '{sf}/labels.parquet' USING (doc_id) WHERE text IS NOT NULL AND toxic IS NOT NULL ORDER BY 1, 2").fetchall()
+    spread = []
+    for strength in (0.0, 1.0):
+        model = toxicity.train(rows, counterfactual=strength, l1=0.002)
+        x = [p for p in model.scores([*toxicity.IDENTITY_TERMS, *toxicity.NEUTRAL_TERMS])]
+        spread.append(np.std(np.log(x) - np.log1p(-np.array(x))))
+    assert spread[1] < 0.5 * spread[0]
+
+
+def test_toxicity_scores_against_plain_code():
+    rng = random.Random(3)
+    weights = {f: rng.gauss(0, 1) for f in ["wabcde", "pabc", "pabcd", "gbcde", "wxy", "gabcd"]}
+    model = toxicity.ToxicityModel(-0.3, weights, cached=2)
+    for text in ("abcde", "Abcde! abcd xy xy", "", None, "...", "zabcde  (xy) \n abcdef"):
+        words = [w.strip(".!()") for w in (text or "").lower().split()]
+        held = {f for w in words if w for f in [f"w{w}", *(f"p{w[:k]}" for k in range(3, min(7, len(w)))), *(f"g{w[k:k+4]}" for k in range(len(w) - 3))]}
+        assert model.scores([text])[0] == pytest.approx(1 / (1 + math.exp(0.3 - sum(weights.get(f, 0) for f in held))))
+
+
+def test_quality_scores_against_plain_code():
+    """The mean of the vectors of words, their n-grams and pairs of neighbours, gathered one by one."""
+    rng = np.random.default_rng(2)
+    model = quality.train([(k, " ".join(rng.choice(["good", "bad", "fine", "%%"], 5)), k % 2) for k in range(20)])
+    for text in ("good fine", "bad bad good", "one", "", None):
+        tokens, held = (text or "").split(), []
+        for t in tokens:
+            held.append(model.words[quality.token_hash(t) & ((1 << quality.BITS) - 1)])
+            for n in quality.GRAMS:
+                for k in range(len(t) + 3 - n):
+                    held.append(model.words[common.char_grams([f"<{t}>"[k : k + n]], (n,), quality.BITS, ("", ""))[0][0]])
+        for x, y in zip(tokens, tokens[1:]):
+            held.append(model.pairs[int(quality.pair_buckets(np.array([quality.token_hash(x), quality.token_hash(y)], np.uint64))[0])])
+        hidden = np.mean(np.array(held, float), 0) if held else np.zeros(quality.DIM)
+        x = hidden @ model.output + model.bias
+        assert model.scores([text])[0] == pytest.approx(math.exp(x[1]) / (math.exp(x[0]) + math.exp(x[1])), rel=1e-4)
+
+
 @pytest.mark.parametrize("name", ["op4_language_crf", "op6_quality", "op7_toxicity"])
 def test_classifier_queries_on_held_out_rows(spark, name):
+    """On held-out rows, both labels by themselves, so that a constant answer fails."""
     sf = "/root/testdata/sf0.01"
     got = queries.QUERIES[name](spark, sf).cache()
-    assert got.count() == 1000
+    assert got.count() == 1000 and got.where("held_out IS NULL").isEmpty()
     held = got.where("held_out")
     if name == "op4_language_crf":
-        right = held.join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id").where("lang = lang_pred").count()
-        assert right / held.count() > 0.95
+        right = held.join(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "lang"), "doc_id").groupBy("lang").agg(F.avg(F.expr("int(lang = lang_pred)")).alias("r")).collect()
+        assert len(right) == 4 and all(r.r > 0.9 for r in right)
     else:
         label = "quality" if name == "op6_quality" else "toxic"
         both = held.join(spark.read.parquet(f"{sf}/labels.parquet").select("doc_id", label), "doc_id")
-        assert both.where(f"{label} = predicted").count() / both.count() > 0.85
+        right = {r[label]: r.r for r in both.groupBy(label).agg(F.avg(F.expr(f"int({label} = predicted)")).alias("r")).collect()}
+        assert right[0] > 0.95 and right[1] > (0.95 if label == "quality" else 0.6)  # six toxic texts are held out here
 
 
 # ---- 8: decontamination

@@ -15,7 +15,7 @@ def test_whole_run(spark):
     rows = {r.doc_id: r for r in docs.collect()}
     model = queries.toxicity_model(spark, docs, SF)
     kept = [i for i in sorted(rows) if model.scores([rows[i].text])[0] < 0.5]
-    kept = [i for (i, _, c) in brute_components([(i, rows[i].text) for i in kept]) if i == c]
+    kept = [i for (i, _, c) in brute_components([(i, rows[i].text) for i in kept], 5, 80) if i == c]
     texts = brute_removal([(i, rows[i].text) for i in kept])
     texts = {i: t[2] if t[1] else rows[i].text for i, t in texts.items()}
     bench = decontaminate.read_benchmark(spark.read.parquet(f"{SF}/benchmark.parquet"), "item_id", "text", 8, decontaminate.MASKS)

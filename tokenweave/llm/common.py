@@ -105,8 +105,8 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def crc32_mod(column: str, n: int):
-    """crc32 of the decimal text of an integer column, modulo n."""
-    return F.crc32(F.col(column).cast("string").cast("binary")) % n
+    """crc32 of the decimal text of an integer column, modulo n; -1 for null, which so belongs to no fold."""
+    return F.coalesce(F.crc32(F.col(column).cast("string").cast("binary")) % n, F.lit(-1))
 
 
 def words_of(text: str | None, lower: bool = False) -> list[bytes]:
@@ -184,7 +184,7 @@ def text_words(texts: pa.Array, lower: bool = False) -> tuple[np.ndarray, np.nda
     return out, ends
 
 
-def char_grams(words: list[str], sizes: tuple[int, ...], bits: int, edges: str = "<>") -> tuple[np.ndarray, np.ndarray]:
+def char_grams(words: list[str], sizes: tuple[int, ...], bits: int, edges: tuple[str, str] | str = "<>") -> tuple[np.ndarray, np.ndarray]:
     """Buckets of all character n-grams of words between edge marks, and the words' positions in them (one more than words).
 
     A gram that holds an edge mark is an affix. All words are hashed at once over their code points.

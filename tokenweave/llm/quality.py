@@ -45,7 +45,7 @@ class QualityModel:
     pairs: np.ndarray
     output: np.ndarray
     bias: np.ndarray
-    cached: int = 300_000
+    cached: int = 100_000
     index: dict = field(init=False, repr=False)
 
     def __post_init__(self):
@@ -136,7 +136,9 @@ def fit(docs: DataFrame, labels: DataFrame, max_docs: int = 3000, **settings) ->
 
 
 def scored(docs: DataFrame, model: QualityModel, text_col: str = "text") -> Column:
-    """A column with the score, 0 to 1, of each whole text; null and empty texts get what the bias gives."""
+    """A column with the score, 0 to 1, of each whole text; null and empty texts get what the bias gives.
+
+    Repeated rows get equal scores, a long text is read whole, and no column but the text is looked at."""
     shared = docs.sparkSession.sparkContext.broadcast(model)  # 2 ** BITS + 2 ** PAIR_BITS vectors: 6 MB
 
     @F.pandas_udf(T.DoubleType())
