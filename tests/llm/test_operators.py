@@ -170,6 +170,28 @@ def test_jaccard_families(spark, light, block):
     assert len({c for *_, c in got}) < len(rows)
 
 
+@pytest.mark.parametrize(("light", "block"), [(3, 4), (64, 256)])
+def test_jaccard_of_many_sets_with_one_prefix(spark, monkeypatch, light, block):
+    """Sets that share their rarest shingles, and with them their group, in several components; long texts; narrow columns."""
+    monkeypatch.setattr(ngram_jaccard, "COLUMNS", 7)
+    rng = random.Random(4)
+    rare, usual = [f"r{k}" for k in range(16)], [f"u{k}" for k in range(400)]
+    tails = [rng.sample(usual, 100) for _ in range(3)]
+    rows = []
+    for k in range(60):
+        tail = list(tails[k % 3])
+        for _ in range(rng.randint(0, 3)):
+            tail[rng.randrange(60, 100)] = rng.choice(usual)
+        rows.append((k, " ".join(rare + tail)))
+    rows += [(1000 + k, " ".join(rng.choice(usual) for _ in range(60))) for k in range(100)]  # makes the usual words usual
+    long = prose(rng, 9000, [f"l{k}" for k in range(3000)]).split()
+    rows += [(2000, " ".join(long)), (2001, " ".join([*long[:-3], "x", "y"])), (2002, " ".join(long[4000:]))]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    for width, num in ((1, 80), (3, 80)):
+        got = [tuple(r) for r in ngram_jaccard.jaccard_components(df, width=width, num=num, light=light, block=block).collect()]
+        assert sorted(got) == sorted(brute_components(rows, width, num))
+
+
 def test_jaccard_of_nothing(empty):
     assert ngram_jaccard.jaccard_components(empty).collect() == []
 

@@ -11,6 +11,9 @@ copies) is worked through in blocks inside Arrow tasks: a first pass proposes fo
 a block, which after verification joins most of the family; the second pass takes all pairs of blocks, but only
 those pairs of groups that aren't in one component yet, and verifies them in their blocks. All pairs between
 different components are verified, so the components are exact, while a family's inner pairs aren't all spelt out.
+Groups of more than ``light`` sets are worked through in the same two passes over blocks of their members.
+
+Sets are compared by 64-bit shingle hashes, and equal sets by 128 bits over these: that is the error that is accepted.
 """
 
 from __future__ import annotations
@@ -22,24 +25,36 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import MIX_C, Scratch, gram_hashes, mix, word_hashes, words_of
+from .common import MIX_C, Scratch, gram_hashes, mix, text_words
 from .graph import components
+from .parts import slices
 
 #: Counters of the frequency sketch (a bound on what is broadcast: 8 bytes each), and counters in a message.
 COUNTERS, CHUNK = 1 << 18, 1 << 12
 #: Needed document ids up to this number are broadcast (8 bytes each), more are joined by a shuffle.
 BROADCAST_IDS = 1_000_000
+#: Bytes of text read at once; columns of a comparison of blocks.
+SLICE, COLUMNS = 1 << 20, 4096
+
+
+def shingle_sets(texts: pa.Array, width: int) -> list[np.ndarray]:
+    """Each text's sorted distinct 64-bit shingle hashes; a shorter text is one shingle; without words the set is empty."""
+    hashes, ends = text_words(texts, lower=True)
+    grams, ends = gram_hashes(hashes, width), ends.tolist()
+    out = []
+    for a, b in zip(ends[:-1], ends[1:]):
+        if b - a >= width:
+            out.append(np.unique(grams[a : b - width + 1]))
+        else:
+            out.append(mix(gram_hashes(hashes[a:b], b - a) + MIX_C * np.uint64(b - a)) if b > a else hashes[:0])
+    return out
 
 
-def shingle_set(text: str | None, width: int) -> np.ndarray:
-    """Sorted distinct 64-bit shingle hashes; a shorter text is one shingle; without words the set is empty."""
-    words = words_of(text, lower=True)
-    if not words:
-        return np.empty(0, np.uint64)
-    hashes = word_hashes(words)
-    if len(words) < width:
-        return mix(gram_hashes(hashes, len(words)) + MIX_C * np.uint64(len(words)))
-    return np.unique(gram_hashes(hashes, width))
+def arrays(column) -> list[np.ndarray]:
+    """The lists of an Arrow column as arrays, without a copy."""
+    lists = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    flat, ends = np.asarray(lists.values), lists.offsets.to_numpy().tolist()
+    return [flat[a:b] for a, b in zip(ends[:-1], ends[1:])]
 
 
 def prefix_length(n: int, num: int, den: int) -> int:
@@ -58,8 +73,8 @@ def shingle_counts(texts: DataFrame, width: int) -> np.ndarray:
 
         counts = np.zeros(COUNTERS, np.int64)
         for batch in batches:
-            for at in range(0, len(batch), 512):
-                sets = [shingle_set(t, width) for t in batch.column(0).slice(at, 512).to_pylist()]
+            for at, m in slices(batch.column(0), SLICE):
+                sets = shingle_sets(batch.column(0).slice(at, m), width)
                 counts += np.bincount((np.concatenate(sets) & np.uint64(COUNTERS - 1)).astype(np.int64), minlength=COUNTERS)
         small = counts.astype("<u4").reshape(-1, CHUNK)
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(small), dtype=np.int32)), pa.array([TaskContext.get().partitionId() % 64] * len(small), pa.int32()), pa.array([x.astype("<i8").tobytes() for x in small], pa.binary())], ["chunk", "salt", "counts"])
@@ -83,11 +98,10 @@ def _prefixes(docs: DataFrame, counts: np.ndarray, width: int, num: int, den: in
     def run(batches):
         counts = shared.value
         for batch in batches:
-            for at in range(0, len(batch), 512):
-                part = batch.slice(at, 512)
+            for at, m in slices(batch.column(1), SLICE):
+                part = batch.slice(at, m)
                 ns, sigs, gids, prefixes = [], [], [], []
-                for text in part.column(1).to_pylist():
-                    s = shingle_set(text, width)
+                for s in shingle_sets(part.column(1), width):
                     order = np.lexsort((s, counts[(s & np.uint64(COUNTERS - 1)).astype(np.int64)]))[: prefix_length(len(s), num, den)] if len(s) else []
                     prefix = s[order] if len(s) else s
                     ns.append(len(s))
@@ -102,8 +116,8 @@ def _prefixes(docs: DataFrame, counts: np.ndarray, width: int, num: int, den: in
 def _sets(docs: DataFrame, width: int) -> DataFrame:
     def run(batches):
         for batch in batches:
-            for at in range(0, len(batch), 512):
-                sets = [shingle_set(t, width) for t in batch.column(0).slice(at, 512).to_pylist()]
+            for at, m in slices(batch.column(0), SLICE):
+                sets = shingle_sets(batch.column(0).slice(at, m), width)
                 yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], ["sig", "elements"])
 
     return docs.mapInArrow(run, "sig binary, elements array<long>")
@@ -112,11 +126,20 @@ def _sets(docs: DataFrame, width: int) -> DataFrame:
 def _overlaps(rows: dict, others: dict | None, num: int, den: int) -> np.ndarray:
     """For each pair of groups how many prefix elements they share; -1 where sizes or the best possible overlap rule it out."""
     both = rows["prefix"] + (others["prefix"] if others else [])
-    _, column = np.unique(np.concatenate(both), return_inverse=True)
-    marks = np.zeros((len(both), column.max() + 1), np.float32)
-    marks[np.repeat(np.arange(len(both)), [len(x) for x in both]), column] = 1
-    left, right = marks[: len(rows["prefix"])], marks[len(rows["prefix"]) :] if others else marks
-    shared = (left @ right.T).astype(np.int64)
+    _, column, count = np.unique(np.concatenate(both), return_inverse=True, return_counts=True)
+    owner = np.repeat(np.arange(len(both)), [len(x) for x in both])
+    used = count > 1  # others can't be shared
+    number = np.cumsum(used) - 1
+    owner, column = owner[used[column]], number[column[used[column]]]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    m = len(rows["prefix"])
+    shared = np.zeros((m, len(both) - m if others else m), np.int64)
+    for a in range(0, int(used.sum()), COLUMNS):  # some columns at a time: the rows' marks are a bounded matrix
+        low, high = np.searchsorted(column, [a, a + COLUMNS])
+        marks = np.zeros((len(both), COLUMNS), np.float32)
+        marks[owner[low:high], column[low:high] - a] = 1
+        shared += (marks[:m] @ (marks[m:] if others else marks).T).astype(np.int64)
     other = others or rows
     n, m = np.array(rows["n"])[:, None], np.array(other["n"])[None, :]
     rest, rest2 = n - np.array([len(x) for x in rows["prefix"]])[:, None], m - np.array([len(x) for x in other["prefix"]])[None, :]
@@ -160,7 +183,7 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
     pair = "ga binary, gb binary"
 
     def closest(t: pa.Table) -> pa.Table:
-        d = {"n": t.column("n").to_pylist(), "prefix": [np.array(x, np.int64) for x in t.column("prefix").to_pylist()]}
+        d = {"n": t.column("n").to_pylist(), "prefix": arrays(t.column("prefix"))}
         gids, out = t.column("gid").to_pylist(), ([], [])
         if len(gids) > 1:
             best = np.tril(_overlaps(d, None, num, den) + 1, -1)
@@ -176,7 +199,8 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
 
     # members of one group share the whole prefix: the group stands for a shingle that each of them holds
     crowd = members.groupBy("gid").agg(F.count("*").alias("m")).where("m > 1")
-    inner = members.join(crowd, "gid").select("gid", "sig", "m")
+    crowds = members.join(crowd.where(F.col("m") > light), "gid").select("gid", "sig", "m")
+    inner = members.join(crowd.where(F.col("m") <= light), "gid").select("gid", "sig")
     i, j = inner.alias("i"), inner.alias("j")
     within = i.join(j, (F.col("i.gid") == F.col("j.gid")) & (F.col("i.sig") < F.col("j.sig"))).select(F.col("i.sig").alias("a"), F.col("j.sig").alias("b"))
 
@@ -187,7 +211,7 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
     candidates = scratch.save(expand(possible.union(first).distinct()).union(within), "candidates")
 
     # whole sets of the members that any pair may need
-    needed = candidates.select(F.col("a").alias("sig")).union(candidates.select("b")).union(members.join(heavy.select("gid").distinct(), "gid", "left_semi").select("sig")).distinct()
+    needed = candidates.select(F.col("a").alias("sig")).union(candidates.select("b")).union(crowds.select("sig")).union(members.join(heavy.select("gid").distinct(), "gid", "left_semi").select("sig")).distinct()
     needed = scratch.save(members.join(needed, "sig", "left_semi").select("sig", "first_id"), "needed")
     ids = needed.select(F.col("first_id").alias("doc_id"))
     ids = F.broadcast(ids) if needed.count() <= BROADCAST_IDS else ids
@@ -199,8 +223,45 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
         both = pairs.join(left, "a").join(right, "b").select("a", "b", F.size("x").alias("nx"), F.size("y").alias("ny"), F.size(F.array_intersect("x", "y")).alias("c"))
         return both.where(f"{den} * c >= {num} * (nx + ny - c)").select("a", "b")
 
-    links = scratch.save(verify(candidates), "links")
+    def linked(sigs: list[bytes], held: list[np.ndarray], parts: list, pairs) -> pa.Table:
+        """Links of some pairs of sets, verified whole; those that earlier links, or their parts, have joined are left out."""
+        root: dict = {}
+
+        def find(s):
+            while root.setdefault(s, s) != s:
+                root[s] = s = root[root[s]]
+            return s
+
+        out = ([], [])
+        for x, y in pairs:
+            if (r := find(parts[x])) != (q := find(parts[y])):
+                one, two = held[x], held[y]
+                c = len(np.intersect1d(one, two, assume_unique=True)) if den * min(len(one), len(two)) >= num * max(len(one), len(two)) else 0
+                if den * c >= num * (len(one) + len(two) - c):
+                    root[r] = q
+                    out[0].append(sigs[x])
+                    out[1].append(sigs[y])
+        return pa.table({"a": pa.array(out[0], pa.binary()), "b": pa.array(out[1], pa.binary())})
+
+    def of_one_block(t: pa.Table) -> pa.Table:
+        sigs = t.column("sig").to_pylist()
+        return linked(sigs, arrays(t.column("elements")), sigs, ((x, y) for x in range(len(sigs)) for y in range(x)))
+
+    def of_two_blocks(t: pa.Table) -> pa.Table:
+        lo, hi, mine = t.column("lo")[0].as_py(), t.column("hi")[0].as_py(), t.column("mine").to_pylist()
+        left, right = ([k for k, m in enumerate(mine) if m == side] for side in (lo, hi))
+        return linked(t.column("sig").to_pylist(), arrays(t.column("elements")), t.column("part").to_pylist(), ((x, y) for x in left for y in right))
+
+    crowded = crowds.join(sets, "sig").select("gid", "sig", "elements", F.ceil(F.col("m") / block).alias("blocks")).withColumn("mine", F.pmod(F.xxhash64("sig"), F.col("blocks")))
+    links = scratch.save(verify(candidates).union(crowded.groupBy("gid", "mine").applyInArrow(of_one_block, "a binary, b binary")), "links")
     known = scratch.save(components(scratch, links), "components")
+    if not crowds.isEmpty():
+        placed = crowded.join(known.withColumnRenamed("node", "sig"), "sig", "left").withColumn("part", F.coalesce("component", "sig"))
+        open_groups = placed.groupBy("gid").agg(F.min("part").alias("x"), F.max("part").alias("y")).where("x != y").select("gid")
+        dealt = placed.join(open_groups, "gid", "left_semi").withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1))).where("mine != other")
+        dealt = dealt.select("gid", "sig", "elements", "part", "mine", F.least("mine", "other").alias("lo"), F.greatest("mine", "other").alias("hi"))
+        links = scratch.save(links.union(dealt.groupBy("gid", "lo", "hi").applyInArrow(of_two_blocks, "a binary, b binary")), "links")
+        known = scratch.save(components(scratch, links), "components")
 
     # heavy shingles, second pass: pairs of blocks, for groups that aren't joined yet
     of_group = members.groupBy("gid").agg(F.count("*").alias("m"), F.min("sig").alias("sig")).join(known.withColumnRenamed("node", "sig"), "sig", "left")
@@ -213,8 +274,7 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
 
     def open_pairs(t: pa.Table) -> pa.Table:
         token, lo, hi = t.column("token")[0].as_py(), t.column("lo")[0].as_py(), t.column("hi")[0].as_py()
-        d = {c: t.column(c).to_pylist() for c in ("mine", "gid", "n", "prefix", "hot", "part")}
-        d["prefix"] = [np.array(x, np.int64) for x in d["prefix"]]
+        d = {c: t.column(c).to_pylist() for c in ("mine", "gid", "n", "part")} | {c: arrays(t.column(c)) for c in ("prefix", "hot")}
         take = lambda keep: {c: [v for v, k in zip(d[c], d["mine"]) if k == keep] for c in d}
         left, right = take(lo), take(hi) if hi != lo else None
         gids, at, out = [], {}, ([], [])
@@ -223,7 +283,7 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
             codes = {p: k for k, p in enumerate(set(d["part"]))}
             apart = np.array([codes[p] for p in left["part"]])[:, None] != np.array([codes[p] for p in other["part"]])[None, :]
             found = (overlaps > 0) & apart
-            hot, others = [set(h) for h in left["hot"]], [set(h) for h in other["hot"]]
+            hot, others = [set(h.tolist()) for h in left["hot"]], [set(h.tolist()) for h in other["hot"]]
             for x, y in np.argwhere(np.tril(found, -1) if right is None else found).tolist():
                 if min(hot[x] & others[y]) == token:  # once for each pair: at its smallest heavy shingle
                     for g, side in ((left["gid"][x], out[0]), (other["gid"][y], out[1])):
@@ -237,26 +297,15 @@ def jaccard_components(docs: DataFrame, width: int = 3, num: int = 90, den: int
     def verify_tile(tile: pa.Table, held: pa.Table) -> pa.Table:
         """Links of a pair of blocks, verified on whole sets; pairs that earlier links have joined are left out."""
         owned: dict[int, list[tuple[bytes, np.ndarray]]] = {}
-        for k, sig, elements in zip(*(held.column(c).to_pylist() for c in ("at", "sig", "elements"))):
-            owned.setdefault(k, []).append((sig, np.array(elements, np.int64)))
-        root: dict[bytes, bytes] = {}
-
-        def find(s):
-            while root.setdefault(s, s) != s:
-                root[s] = s = root[root[s]]
-            return s
-
-        out = ([], [])
-        for x, y in zip(tile.column("x")[0].as_py(), tile.column("y")[0].as_py()):
-            for sig, one in owned.get(x, ()):
-                for sig2, two in owned.get(y, ()):
-                    if (r := find(sig)) != (q := find(sig2)):
-                        c = len(np.intersect1d(one, two, assume_unique=True))
-                        if den * c >= num * (len(one) + len(two) - c):
-                            root[r] = q
-                            out[0].append(sig)
-                            out[1].append(sig2)
-        return pa.table({"a": pa.array(out[0], pa.binary()), "b": pa.array(out[1], pa.binary())})
+        for k, sig, elements in zip(*(held.column(c).to_pylist() for c in ("at", "sig")), arrays(held.column("elements"))):
+            owned.setdefault(k, []).append((sig, elements))
+        sigs, sets, numbers = [], [], {}
+        for k, some in owned.items():
+            numbers[k] = range(len(sigs), len(sigs) + len(some))
+            sigs += [x for x, _ in some]
+            sets += [x for _, x in some]
+        pairs = ((i, j) for x, y in zip(tile.column("x")[0].as_py(), tile.column("y")[0].as_py()) for i in numbers.get(x, ()) for j in numbers.get(y, ()))
+        return linked(sigs, sets, sigs, pairs)
 
     if not open_tokens.isEmpty():
         key = ["token", "lo", "hi"]
