@@ -141,7 +141,7 @@ class WindowNetwork:
         p[np.arange(n), kind] -= 1
         p /= n
         back = p @ w["classes"].T
-        moves = [("classes", hidden.T @ p, ...), ("class_bias", p.sum(0), ...)]
+        moves = {"classes": hidden.T @ p, "class_bias": p.sum(0), "words": np.zeros_like(w["words"]), "word_bias": np.zeros_like(w["word_bias"])}
         order, ends = by_class(kind)
         for c in range(SIZE // SIDE):
             rows = order[ends[c] : ends[c + 1]]
@@ -151,10 +151,11 @@ class WindowNetwork:
                 p[np.arange(len(rows)), inner[rows]] -= 1
                 p /= n
                 back[rows] += p @ w["words"][c].T
-                moves += [("words", hidden[rows].T @ p, c), ("word_bias", p.sum(0), c)]
+                np.matmul(hidden[rows].T, p, out=moves["words"][c])
+                moves["word_bias"][c] = p.sum(0)
         back *= 1 - hidden * hidden
-        for name, grad, rows in moves:
-            move(name, grad, rows)
+        for name, grad in moves.items():
+            move(name, grad)
         move("bias", back.sum(0))
         for k, shift in enumerate(SHIFTS):
             near = ids[at + shift].astype(np.int16)
