@@ -1,21 +1,21 @@
 """Headline queries at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
-W6 stages: both linkages end to end, the big mention list, and their stages alone. W7: the reference linkage with one,
-two, ... cores in sessions of their own. W8: candidates and seconds as the lists grow alike.
+W6 stages: both linkages end to end, the big mention list, and their stages alone. On the smaller tables of
+$BENCH_SWEEP_DIR, W7: the reference linkage with one, two, ... cores in sessions of their own; W8: candidates and
+seconds as the lists grow alike.
 """
 
 from __future__ import annotations
 
 import json
 import os
-import time
 
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-#: BENCH_SWEEPS=1 adds the sweeps over shares of common addresses and over cores, which take several times as long.
-SWEEPS = os.environ.get("BENCH_SWEEPS", "0") == "1"
+#: Tables of the sweeps over shares of common addresses and over cores (they run the linkage several times); empty: no sweeps.
+SWEEP_DIR = os.environ.get("BENCH_SWEEP_DIR", "/root/testdata/sf0.01")
 CPUS = int(os.environ.get("BENCH_CPUS", os.cpu_count() or 4))
 
 
@@ -53,23 +53,24 @@ def main() -> None:
     pairs = blocking.candidates(build_index(raw), build_index(gaz)).count()
     rate = lambda q, *lists: round(sum(rows[x] for x in lists) / seconds[q] / CPUS)
     overlap = {}
-    for x in (0, 50, 100) if SWEEPS else ():
+    if SWEEP_DIR:
+        raw, gaz = address_list(spark, SWEEP_DIR, "raw_mentions"), spark.table("gazetteer")
+        timed(lambda: batch.link(raw, gaz))
+    for x in (0, 25, 50, 75, 100) if SWEEP_DIR else ():
         same = (F.col("id") * 7919) % 100 < x
         part = gaz.select("id", F.when(same, F.col("address")).otherwise(F.regexp_replace("address", "([A-Z0-9]+)", "$1X")).alias("address"))
-        began = time.perf_counter()
-        n = batch.link(raw, part).count()
-        overlap[str(x)] = {"seconds": round(time.perf_counter() - began, 2), "candidates": n}
+        overlap[str(x)] = {"seconds": round(timed(lambda p=part: batch.link(raw, p)), 2), "candidates": batch.link(raw, part).count()}
     out = {
         "metric": "linkage, all headline queries", "value": round(sum(seconds.values()), 3), "unit": "sec", "queries": seconds, "sf": SF.rsplit("sf", 1)[-1], "cpus": CPUS, "rows": rows, "candidates": pairs,
         "rows_per_second_and_core": {"link_reference": rate("link_reference", "raw_mentions", "gazetteer"), "link_arbitrary": rate("link_arbitrary", "raw_b", "raw_a"), "link_big_mentions": rate("link_big_mentions", "big_mentions", "gazetteer")}, "overlap": overlap,
     }
     spark.stop()
-    if SWEEPS:
+    if SWEEP_DIR:
         scaling = {}
         for cores in sorted({1, 2, 4, CPUS}):
             spark = session(cores)
             spark.sparkContext.setLogLevel("ERROR")
-            raw, gaz = address_list(spark, SF, "raw_mentions"), spark.table("gazetteer")
+            raw, gaz = address_list(spark, SWEEP_DIR, "raw_mentions"), spark.table("gazetteer")
             timed(lambda: batch.link(raw, gaz))
             scaling[str(cores)] = round(timed(lambda: batch.link(raw, gaz)), 2)
             spark.stop()

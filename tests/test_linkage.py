@@ -1,5 +1,8 @@
 """The linkage: equalities between its forms, its bounds, and the counts that the derived lists must give."""
 
+import itertools
+
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -7,8 +10,8 @@ from tokenweave.config import LinkConfig
 from tokenweave.functions import similarity, tokens
 from tokenweave.operators import baselines, batch, blocking, entities, evaluate, lookup, select
 from tokenweave.operators.index import Index, build_index
-from tokenweave.plans import planner, sqlform, workloads
-from tokenweave.sources import lists
+from tokenweave.plans import planner, sqlform, surroundings, workloads  # noqa: F401  registers its queries
+from tokenweave.sources import lists, samples
 from tokenweave.sources.fixtures import address_list
 
 SMALL = "/root/testdata/sf0.001"
@@ -175,3 +178,52 @@ def test_stream_watermark_drops_late_rows(spark, tmp_path):
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
     got = arrivals.drain(arrivals.tumbling(stream), "late_rows")
     assert [(r.start.hour, r.n) for r in got.orderBy("start").collect()][:2] in ([(0, 1), (9, 1)], [(0, 2), (9, 1)])
+
+
+def test_published_sample_links(spark):
+    """Each raw address finds its own reference over 0.7 (the printed scores are of addresses before they were disguised:
+    0.01 to 0.15 higher), three of one tie, and three are linked that the outside geocoder didn't find."""
+    left, right, answers = samples.sample_lists(spark)
+    scored = batch.link(left, right)
+    best = {r.id_1: r for r in select.best_match(scored).collect()}
+    printed = {r.id: r.printed for r in answers.collect()}
+    assert all(best[i].id_2 // 10 == i and 0.7 < best[i].score <= p for i, p in printed.items())
+    assert select.best_match(scored, "all").where("id_1 = 4").count() == 3
+    got = {(r.linked, r.elsewhere): r.n for r in evaluate.agree_with_external(left, select.best_match(scored), answers, 0.7).collect()}
+    assert got == {(True, True): 7, (True, False): 3}
+
+
+def test_costs_are_those_of_the_linkage(ref):
+    raw, gaz, scored = ref
+    got = evaluate.cost_report(raw, gaz).first()
+    assert got.evaluations == scored.count() and got.links == scored.where("score > 0.7").count()
+    assert got.all_pairs == raw.count() * gaz.count() and got.proposed >= got.evaluations
+
+
+def test_parser_finds_the_likeliest_path(spark):
+    """Against all label sequences of short addresses."""
+    texts = ["3 12 smith street aville 3000", "12 b", "4000", "7 long road"]
+    got = [r.labels for r in baselines.hmm_parse(spark.createDataFrame(list(enumerate(texts)), lists.SCHEMA)).orderBy("id").collect()]
+    kinds = {"3": 0, "12": 0, "7": 0, "street": 3, "road": 3, "3000": 2, "4000": 2}
+    for text, labels in zip(texts, got):
+        seen = [kinds.get(w, 4) for w in text.split()]
+        def weight(path):
+            first = np.log([4, 4, 0.5, 0.1, 0.1, 0.1])[path[0]] + baselines.EMIT[path[0], seen[0]]
+            return first + sum(baselines.STEP[a, b] + baselines.EMIT[b, k] for a, b, k in zip(path, path[1:], seen[1:]))
+        best = max(weight(p) for p in itertools.product(range(len(baselines.STATES)), repeat=len(seen)))
+        assert weight([baselines.STATES.index(x) for x in labels]) == pytest.approx(best)
+
+
+def test_approximate_counts_are_near(spark):
+    raw = address_list(spark, SMALL, "raw_mentions")
+    postings = build_index(raw).postings
+    exact = postings.agg(F.count_distinct("token").alias("t"), F.count_distinct("id").alias("i")).first()
+    got = workloads.QUERIES["agg_approx"](spark, SMALL).first()
+    assert got.about_tokens == pytest.approx(exact.t, rel=0.15) and got.about_ids == pytest.approx(exact.i, rel=0.15)
+
+
+def test_scan_refuses_many_queries(spark, monkeypatch):
+    monkeypatch.setattr(lookup, "MOST_QUERIES", 2)
+    raw = spark.createDataFrame([(k, "a b") for k in range(3)], lists.SCHEMA)
+    with pytest.raises(ValueError):
+        lookup.scan_lookup(raw, raw, "words")

@@ -5,10 +5,12 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
+from ..config import LinkConfig
 from ..functions.tokens import tokenise, words
+from .batch import scored_pairs
 from .blocking import shared_rare, token_pairs
 from .index import Index, build_index
 from .select import best_match
@@ -157,3 +159,24 @@ def score_windows(scored: DataFrame) -> DataFrame:
     """Best score of each address and its lead over the next."""
     w = Window.partitionBy("id_1").orderBy(F.desc("score"), "id_2")
     return scored.select("id_1", "id_2", "score", F.row_number().over(w).alias("r"), (F.col("score") - F.lead("score").over(w)).alias("ahead")).where("r = 1").drop("r")
+
+
+def cost_report(left: DataFrame, right: DataFrame, cfg: LinkConfig = LinkConfig(tau=0.7)) -> DataFrame:
+    """One row: all pairs, rows that tokens propose, candidates (each is one evaluation of the measure), links over tau.
+
+    The counts are observed while the linkage itself runs, in one pass and without a second plan. It runs here.
+    """
+    a, b = build_index(left, cfg.blocker, cfg.alphabet), build_index(right, cfg.blocker, cfg.alphabet)
+    proposed, candidates, linked = (Observation(x) for x in ("proposed", "candidates", "linked"))
+    count = lambda name: F.count(F.lit(1)).alias(name)
+    pairs = token_pairs(a, b, cfg.cuts).observe(proposed, count("n")).select("id_1", "id_2").distinct().observe(candidates, count("n"))
+    scored = scored_pairs(pairs, left, right, cfg.measure, cfg.scorer, cfg.alphabet)
+    scored.where(F.col("score") > cfg.tau).observe(linked, count("n")).write.format("noop").mode("overwrite").save()
+    sides = left.agg(count("n_left")).crossJoin(right.agg(count("n_right")))  # one row each
+    return sides.select((F.col("n_left") * F.col("n_right")).alias("all_pairs"), *(F.lit(o.get["n"]).cast("long").alias(name) for name, o in (("proposed", proposed), ("evaluations", candidates), ("links", linked))))
+
+
+def agree_with_external(left: DataFrame, best: DataFrame, external: DataFrame, tau: float) -> DataFrame:
+    """Addresses by whether the linkage and an outside answer (``id, external``, null: not found) found them, and the mean score."""
+    both = left.select("id").join(best.where(F.col("score") > tau).select(F.col("id_1").alias("id"), "score"), "id", "left").join(external.select("id", "external"), "id", "left")
+    return both.groupBy(F.col("score").isNotNull().alias("linked"), F.col("external").isNotNull().alias("elsewhere")).agg(F.count("*").alias("n"), F.round(F.avg("score"), 9).alias("score"))

@@ -11,6 +11,10 @@ from .batch import scored_pairs
 from .index import Index, counted
 
 
+#: Queries that a scan takes at most: they are broadcast.
+MOST_QUERIES = 10_000
+
+
 def query_bags(queries: DataFrame, tokeniser: str, alphabet: str = "unicode") -> DataFrame:
     """``query_id, nq, token, tf_q`` of queries ``id, address``."""
     found = counted(queries, F.col("id"), tokenise(tokeniser, F.col("address"), alphabet))
@@ -33,9 +37,11 @@ def lookup(index: Index, queries: DataFrame, tokeniser: str, measure: str = "poo
 
 
 def scan_lookup(addresses: DataFrame, queries: DataFrame, tokeniser: str, measure=pooled) -> DataFrame:
-    """The same scores by comparing each query with every address; a few queries only, which are broadcast."""
+    """The same scores by comparing each query with every address; a few queries only, which are broadcast once counted."""
     q = queries.select(F.col("id").alias("query_id"), tokenise(tokeniser, F.col("address")).alias("x"))
     a = addresses.select("id", tokenise(tokeniser, F.col("address")).alias("y"))
+    if queries.limit(MOST_QUERIES + 1).count() > MOST_QUERIES:
+        raise ValueError(f"a scan takes up to {MOST_QUERIES} queries; link the lists instead")
     return a.join(F.broadcast(q)).select("query_id", "id", measure(F.col("x"), F.col("y")).alias("score")).where("score > 0")
 
 

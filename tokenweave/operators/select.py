@@ -20,9 +20,9 @@ def ladder(scored: DataFrame, taus: tuple[float, ...] = (0.6, 0.7, 0.8)) -> Data
 
 def with_edits(scored: DataFrame, left: DataFrame, right: DataFrame) -> DataFrame:
     """Edit distances of those pairs that tie for the best place of their ``id_1``; null elsewhere."""
-    best = Window.partitionBy("id_1")
-    marked = scored.withColumn("top", F.max("score").over(best)).withColumn("ties", F.count_if(F.col("score") == F.col("top")).over(best))
-    tied = marked.where("ties > 1 AND score = top").select("id_1", "id_2")
+    top = scored.groupBy("id_1").agg(F.max("score").alias("top"))
+    first = scored.join(top, "id_1").where("score = top").select("id_1", "id_2")
+    tied = first.join(first.groupBy("id_1").agg(F.count("*").alias("ties")).where("ties > 1"), "id_1", "left_semi")
     texts = tied.join(left.select(F.col("id").alias("id_1"), F.lower("address").alias("x")), "id_1").join(right.select(F.col("id").alias("id_2"), F.lower("address").alias("y")), "id_2")
     return scored.join(texts.select("id_1", "id_2", F.levenshtein("x", "y").alias("edit")), ["id_1", "id_2"], "left")
 

@@ -19,6 +19,9 @@ from ..sources import lists
 from ..sources.fixtures import address_list
 from ..streaming import arrivals as live
 from . import oracles as o
+from ..sources.samples import sample_lists, sample_rows, values_sql
+from .workloads import _BLEND as BLEND_SQL
+from .workloads import _PM as PAIR_SQL
 from .workloads import ORACLES, QUERIES, query, ref_link, truth_of, two  # noqa: F401  its queries stand with the workloads'
 
 
@@ -192,7 +195,7 @@ query("stream_rare_tokens", f"SELECT token, count(*) AS df FROM ({o.tokens('(SEL
     lambda s, d: _drained(live.rare_while(_stream(s, d), 100)).groupBy("token").agg(F.max("df").alias("df")))
 
 
-@query("stream_link", f"WITH asked AS (SELECT event_id AS id, address FROM arrivals), {o.pair_parts('asked', 'gazetteer', None)}, rare AS (SELECT DISTINCT id_1, id_2 FROM hits WHERE df_2 <= 20), {o.score_parts('asked', 'gazetteer')} SELECT s.* FROM scored s JOIN rare USING (id_1, id_2) WHERE score > 0.7")
+@query("stream_link", f"WITH asked AS (SELECT event_id AS id, address FROM arrivals), {o.index_parts('asked', 'gazetteer')}, cand AS MATERIALIZED (SELECT DISTINCT lt.id AS id_1, rt.id AS id_2 FROM rd JOIN rt USING (token) JOIN lt USING (token) WHERE rd.df <= 20), {o.score_parts('asked', 'gazetteer')} SELECT * FROM scored WHERE score > 0.7")
 def _(s, d):
     out = shared_folder(s)
     stream = _stream(s, d)
@@ -205,9 +208,33 @@ def _(s, d):
     return s.read.option("basePath", out).parquet(f"{out}/batch=*").select("id_1", "id_2", "score")
 
 
+# ---- costs, and the published sample
+
+query("cost_report", f"{o.linked()} SELECT (SELECT count(*) FROM raw_mentions) * (SELECT count(*) FROM gazetteer) AS all_pairs, (SELECT count(*) FROM hits) AS proposed, (SELECT count(*) FROM cand) AS evaluations, (SELECT count(*) FROM scored WHERE score > 0.7) AS links")(
+    lambda s, d: evaluate.cost_report(*two(s, d)))
+_SAMPLE = f"""WITH sample_left AS ({values_sql(sample_rows()[0], 'id, address')}), sample_right AS ({values_sql(sample_rows()[1], 'id, address')}), answers AS ({values_sql(sample_rows()[2], 'id, printed, external')}),
+    {o.pair_parts('sample_left', 'sample_right')}, {o.score_parts('sample_left', 'sample_right')}, {o.BEST}"""
+
+
+def _sample(s):
+    left, right, answers = sample_lists(s)
+    return left, answers, batch.link(left, right)
+
+
+query("sample_links", f"{_SAMPLE} SELECT a.id::BIGINT AS id, b.id_2::BIGINT AS id_2, round(b.score, 9) AS score, a.printed::DOUBLE AS printed, (SELECT count(*) FROM scored s WHERE s.id_1 = a.id AND s.score = b.score) AS ties FROM answers a JOIN best b ON b.id_1 = a.id")(
+    lambda s, d: (lambda left, answers, scored: answers.join(select.best_match(scored).withColumnRenamed("id_1", "id"), "id").join(select.best_match(scored, "all").groupBy(F.col("id_1").alias("id")).agg(F.count("*").alias("ties")), "id")
+                  .select("id", "id_2", F.round("score", 9).alias("score"), "printed", "ties"))(*_sample(s)))
+query("external_agreement", f"{_SAMPLE} SELECT b.score IS NOT NULL AS linked, a.external IS NOT NULL AS elsewhere, count(*) AS n, round(avg(b.score), 9) AS score FROM answers a LEFT JOIN (SELECT * FROM best WHERE score > 0.7) b ON b.id_1 = a.id GROUP BY 1, 2")(
+    lambda s, d: (lambda left, answers, scored: evaluate.agree_with_external(left, select.best_match(scored), answers, 0.7))(*_sample(s)))
+
 # ---- rules and neighbours
 
-query("blend_metrics")(lambda s, d: _blend_metrics(s, d))
+_SYSTEMS = {
+    "phrases": "SELECT id_1, id_2 FROM (SELECT *, row_number() OVER (PARTITION BY id_1 ORDER BY score DESC, id_2) AS r FROM scored) WHERE r = 1 AND score > 0.7",
+    "rules": "SELECT id_1, min(id_2) AS id_2 FROM rules GROUP BY id_1",
+    "both": "SELECT id_1, id_2 FROM (SELECT *, row_number() OVER (PARTITION BY id_1 ORDER BY score DESC, id_2) AS r FROM blended) WHERE r = 1 AND score > 0.49",
+}
+query("blend_metrics", f"{BLEND_SQL}, " + ", ".join(f"l_{k} AS ({v})" for k, v in _SYSTEMS.items()) + " " + " UNION ALL ".join(f"SELECT '{k}' AS system, * FROM ({PAIR_SQL.replace('FROM l)', f'FROM l_{k})').replace('FROM l JOIN', f'FROM l_{k} JOIN')})" for k in _SYSTEMS))(lambda s, d: _blend_metrics(s, d))
 query("vector_neighbours", """SELECT query_id, vec_id, cosine, rank FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY cosine DESC, vec_id)::INT AS rank FROM (SELECT a.vec_id AS query_id, b.vec_id AS vec_id, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cosine FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id)) WHERE rank <= 3""")(
     lambda s, d: (lambda v: baselines.vector_neighbours(v, v))(s.read.parquet(f"{d}/embeddings.parquet")))
 
