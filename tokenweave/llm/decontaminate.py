@@ -119,6 +119,15 @@ RESULT = T.StructType([T.StructField("doc_id", T.LongType()), T.StructField("con
 SPAN = pa.list_(pa.struct([("item_id", pa.int64()), ("begin", pa.int32()), ("end", pa.int32()), ("equal", pa.int32())]))
 
 
+def word_count(items: DataFrame, text_col: str) -> int:
+    return items.agg(F.coalesce(F.sum(F.size(F.split(F.coalesce(F.col(text_col), F.lit("")), r"[\x20\x09-\x0D]+"))), F.lit(0))).first()[0]
+
+
+def spans_of(text: str | None, bench: Benchmark, share: float, least: int) -> set[tuple]:
+    words = plain_hashes(text)
+    return {(bench.ids[k], *s) for k, offset in bench.met(words) if (s := verify(words, bench.words[k], offset, share, least))} if len(words) else set()
+
+
 def _row(spans: set) -> tuple:
     spans = sorted(spans)
     return bool(spans), sorted({s[0] for s in spans}), [dict(zip(("item_id", "begin", "end", "equal"), s)) for s in spans]
@@ -134,7 +143,7 @@ def find_contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id",
     come in; repeated items give one span each. The benchmark's size is measured first: small ones are broadcast,
     larger ones joined by seed.
     """
-    size = items.agg(F.coalesce(F.sum(F.size(F.split(F.coalesce(F.col(item_text), F.lit("")), r"[\x20\x09-\x0D]+"))), F.lit(0))).first()[0]
+    size = word_count(items, item_text)
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     if size > broadcast_words:
         return _joined(rows, items, item_id, item_text, share, least, shortest, masks)
@@ -147,20 +156,31 @@ def find_contaminated(docs: DataFrame, items: DataFrame, id_col: str = "doc_id",
                 part = batch.slice(a, 512)
                 out = []
                 for text in part.column(1).to_pylist():
-                    words = plain_hashes(text)
-                    spans = {(bench.ids[k], *s) for k, offset in bench.met(words) if (s := verify(words, bench.words[k], offset, share, least))} if len(words) else set()
-                    out.append(_row(spans))
+                    out.append(_row(spans_of(text, bench, share, least)))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([r[0] for r in out]), pa.array([r[1] for r in out], pa.list_(pa.int64())), pa.array([r[2] for r in out], SPAN)], RESULT.names)
 
     return rows.mapInArrow(run, RESULT)
 
 
-def drop_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", **settings) -> DataFrame:
-    """The rows of ``docs``, all columns, that no item contaminates (see ``find_contaminated``)."""
-    keyed = docs.withColumn("row_key_", F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
-    found = find_contaminated(keyed.select(F.col("row_key_").alias("doc_id"), F.col(text_col).alias("text")), items, **settings)
-    bad = found.where("contaminated").select(F.col("doc_id").alias("row_key_")).distinct()
-    return keyed.join(bad, "row_key_", "left_anti").drop("row_key_")
+def drop_contaminated(docs: DataFrame, items: DataFrame, text_col: str = "text", item_id: str = "item_id", item_text: str = "text", share: float = 0.8, least: int = 16, shortest: int = 8, masks: tuple[str, ...] = MASKS, broadcast_words: int = BROADCAST_WORDS) -> DataFrame:
+    """The rows of ``docs``, all columns, that no item contaminates (see ``find_contaminated``), repeated rows included.
+
+    With a small benchmark rows are judged where they are, nothing is shuffled. With a larger one texts stand for their
+    64-bit hashes, so that a clean text whose hash is that of a contaminated one would go too.
+    """
+    if word_count(items, item_text) <= broadcast_words:
+        shared = docs.sparkSession.sparkContext.broadcast(read_benchmark(items, item_id, item_text, shortest, masks))
+
+        @F.pandas_udf(T.BooleanType())
+        def clean(texts):
+            return texts.map(lambda t: not spans_of(t, shared.value, share, least)).astype(bool)
+
+        return docs.where(clean(F.coalesce(F.col(text_col), F.lit(""))))
+    key = next(n for k in range(len(docs.columns) + 1) if (n := f"row_key_{k}") not in docs.columns)
+    keyed = docs.withColumn(key, F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))))
+    found = find_contaminated(keyed.select(F.col(key).alias("doc_id"), F.col(text_col).alias("text")), items, item_id=item_id, item_text=item_text, share=share, least=least, shortest=shortest, masks=masks, broadcast_words=broadcast_words)
+    bad = found.where("contaminated").select(F.col("doc_id").alias(key)).distinct()
+    return keyed.join(bad, key, "left_anti").select(*docs.columns)
 
 
 def _joined(rows: DataFrame, items: DataFrame, item_id: str, item_text: str, share: float, least: int, shortest: int, masks: tuple[str, ...]) -> DataFrame:
