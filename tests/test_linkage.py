@@ -10,7 +10,7 @@ from tokenweave.config import LinkConfig
 from tokenweave.functions import similarity, tokens
 from tokenweave.operators import baselines, batch, blocking, entities, evaluate, lookup, select
 from tokenweave.operators.index import Index, build_index
-from tokenweave.plans import planner, sqlform, surroundings, workloads  # noqa: F401  registers its queries
+from tokenweave.plans import comparisons, planner, sqlform, surroundings, workloads  # noqa: F401  registers its queries
 from tokenweave.sources import lists, samples
 from tokenweave.sources.fixtures import address_list
 
@@ -170,14 +170,82 @@ def test_plan_prunes_and_limits(spark):
 
 
 def test_stream_watermark_drops_late_rows(spark, tmp_path):
+    """A row behind the watermark of the batch before is left out and counted; one that is only out of order isn't."""
     from tokenweave.streaming import arrivals
 
     schema = "event_id long, site_id long, ts timestamp, address string"
-    for k, (hour, n) in enumerate((("2024-01-01 00:10:00", 1), ("2024-01-01 09:00:00", 2), ("2024-01-01 00:20:00", 3), ("2024-01-01 20:00:00", 4))):
-        spark.createDataFrame([(n, 1, hour, "a b")], "event_id long, site_id long, ts string, address string").selectExpr("event_id", "site_id", "CAST(ts AS TIMESTAMP) AS ts", "address").coalesce(1).write.parquet(str(tmp_path / "in" / f"f{k}"))
+    for k, hour in enumerate(("00:10", "09:00", "10:00", "00:20", "09:30", "20:00")):
+        spark.createDataFrame([(k, 1, f"2024-01-01 {hour}:00", "a b")], "event_id long, site_id long, ts string, address string").selectExpr("event_id", "site_id", "CAST(ts AS TIMESTAMP) AS ts", "address").coalesce(1).write.parquet(str(tmp_path / "in" / f"f{k}"))
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").parquet(str(tmp_path / "in"))
-    got = arrivals.drain(arrivals.tumbling(stream), "late_rows")
-    assert [(r.start.hour, r.n) for r in got.orderBy("start").collect()][:2] in ([(0, 1), (9, 1)], [(0, 2), (9, 1)])
+    query = arrivals.tumbling(stream).writeStream.format("memory").queryName("late_rows").outputMode("append").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    assert [(r.start.hour, r.n) for r in spark.table("late_rows").orderBy("start").collect()] == [(0, 1), (9, 2), (10, 1)]
+    assert arrivals.late_rows(query) == 1
+
+
+def test_stream_best_is_the_batch_best(spark):
+    got = workloads.QUERIES["stream_best"](spark, SMALL).collect()
+    asked = spark.table("arrivals").select(F.col("event_id").alias("id"), "address")
+    gaz = address_list(spark, SMALL, "gazetteer")
+    short = lookup.lookup_two_round(build_index(gaz).prune(20), gaz, asked).select(F.col("query_id").alias("id_1"), F.col("id").alias("id_2"), "score")
+    assert sorted((r.event_id, r.id, r.score) for r in got) == rows(select.best_match(short), "id_1", "id_2", "score")
+
+
+def test_parser_takes_the_likeliest_path(spark):
+    """All paths of states are gone through for short addresses; the parser's must weigh as much as the best."""
+    texts = ["12 30 blue road 2010", "7 lime st", "x", "2000", "5 5 5", "green place nation4", "", None]
+    got = {r.id: r.labels for r in baselines.hmm_parse(spark.createDataFrame(list(enumerate(texts)), "id long, address string")).collect()}
+    first = np.log([4, 4, 0.5, 0.1, 0.1, 0.1])
+
+    def kind(x):
+        return 4 if not x.isdigit() and x not in baselines.STREET_TYPES else 3 if not x.isdigit() else 2 if len(x) == 4 else 0 if len(x) < 3 else 1
+
+    def weight(path, w):
+        return first[path[0]] + sum(baselines.EMIT[s, kind(x)] for s, x in zip(path, w)) + sum(baselines.STEP[a, b] for a, b in zip(path, path[1:]))
+
+    for k, text in enumerate(texts):
+        w = (text or "").split()
+        if not w:
+            assert not got[k]
+            continue
+        best = max(weight(p, w) for p in itertools.product(range(6), repeat=len(w)))
+        assert len(got[k]) == len(w) and weight([baselines.STATES.index(s) for s in got[k]], w) == pytest.approx(best)
+
+
+def test_minhash_proposes_by_ratio(spark):
+    """Equal sets always meet, disjoint ones never, and in between about as often as the formula says."""
+    left = spark.createDataFrame([(i, " ".join(f"w{i}x{j}" for j in range(10))) for i in range(400)] + [(900, ""), (901, None)], "id long, address string")
+    for keep in (10, 7, 0):
+        right = spark.createDataFrame([(i, " ".join(f"w{i}x{j}" if j < keep else f"v{i}x{j}" for j in range(10))) for i in range(400)], "id long, address string")
+        found = baselines.minhash_candidates(left, right).where("id_1 = id_2").count() / 400
+        r = keep / (20 - keep)
+        assert found == pytest.approx(1 - (1 - r * r) ** 4, abs=0.1) and (keep % 10 or found in (0, 1))
+
+
+def test_word_number_phrases_and_blocks(spark):
+    df = spark.createDataFrame([(1, "Unit 3 12 Main St 2000")], "id long, address string")
+    assert df.select(tokens.tokenise("word_number", F.col("address"))).first()[0] == ["3 unit", "12 main", "2000 st"]
+    a = spark.createDataFrame([(1, "x"), (2, "x"), (3, "y"), (4, "z")], "id long, key string")
+    b = spark.createDataFrame([(1, "x"), (3, "y"), (4, "w")], "id long, key string")
+    truth = spark.createDataFrame([(1, 1), (2, 1), (3, 3), (4, 4)], "id_1 long, id_2 long")
+    assert tuple(blocking.block_evenness(a, b, truth).first()) == (2, 2, 2, 2 / 3, 1)
+
+
+def test_samples_sinks_and_faulty_lines(spark, ref, tmp_path):
+    first = evaluate.assess_sample(ref[0], 20, seed=3)
+    assert rows(first, "id") == rows(evaluate.assess_sample(ref[0].repartition(7), 20, seed=3), "id") != rows(evaluate.assess_sample(ref[0], 20, seed=4), "id")
+    assert first.count() == 20
+    lists.write_links(ref[2].withColumn("part", F.col("id_1") % 3), str(tmp_path / "links"), "orc", ("part",))
+    back = spark.read.orc(str(tmp_path / "links"))
+    assert sorted(p.name for p in (tmp_path / "links").glob("part=*")) == ["part=0", "part=1", "part=2"]
+    assert rows(back, "id_1", "id_2", "score") == rows(ref[2], "id_1", "id_2", "score")
+    (tmp_path / "lines.json").write_text('{"id": 1, "address": "1 a st"}\n{"id": 2, "addr\n{"id": 3, "address": "3 c st"}\n')
+    good, bad = lists.read_checked(spark, str(tmp_path / "lines.json"))
+    assert rows(good, "id", "address") == [(1, "1 a st"), (3, "3 c st")] and rows(bad, "line") == [('{"id": 2, "addr',)]
+    (tmp_path / "plain.txt").write_text("1 a st\n3 c st\n")
+    assert rows(lists.read_lines(spark, str(tmp_path / "plain.txt")), "address") == [("1 a st",), ("3 c st",)]
+    with pytest.raises(TypeError):
+        lists.as_list(spark.createDataFrame([("a", "b")], "id string, address string"))
 
 
 def test_published_sample_links(spark):

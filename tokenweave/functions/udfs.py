@@ -40,6 +40,12 @@ def jaro_winkler(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series([None if x is None or y is None else jaro_winkler_plain(x, y) for x, y in zip(a, b)], dtype="float64")
 
 
+@F.pandas_udf(DoubleType())
+def median_of(scores: pd.Series) -> float:
+    """Middle score of a group, as an aggregate over Arrow batches."""
+    return float(scores.median())
+
+
 class Tokens:
     """Words of a text with their places, as a table function."""
 

@@ -58,8 +58,6 @@ def key_pairs(left: DataFrame, right: DataFrame, keys: dict[str, Column]) -> Dat
     return made.distinct()
 
 
-
-
 def address_keys() -> dict[str, Column]:
     """The fixed keys of the derived lists: postcode, suburb and state (nation) words."""
     low = F.lower("address")
@@ -79,3 +77,12 @@ def block_report(left: DataFrame, right: DataFrame, keys: dict[str, Column]) ->
         row = both.agg(F.count("*").alias("blocks"), F.sum("pairs").alias("pairs"), F.max("pairs").alias("largest"), F.sum("a").alias("covered")).select(F.lit(name).alias("key_name"), "*")
         out = row if out is None else out.union(row)
     return out
+
+
+def block_evenness(left: DataFrame, right: DataFrame, truth: DataFrame) -> DataFrame:
+    """Of the blocks of two lists ``id, key``: their number, the 99th percentile and the largest of their pairs, its share
+    of all pairs, and the true pairs that no block holds."""
+    sizes = left.groupBy("key").agg(F.count("*").alias("a")).join(right.groupBy("key").agg(F.count("*").alias("b")), "key").select((F.col("a") * F.col("b")).alias("pairs"))
+    row = sizes.agg(F.count("*").alias("blocks"), F.expr("percentile_disc(0.99) WITHIN GROUP (ORDER BY pairs)").cast("long").alias("high"), F.max("pairs").alias("largest"), (F.max("pairs") / F.sum("pairs")).alias("largest_share"))
+    held = truth.join(left.withColumnRenamed("id", "id_1"), "id_1").join(right.withColumnRenamed("id", "id_2"), ["id_2", "key"], "left_semi").select("id_1", "id_2").distinct()
+    return row.crossJoin(truth.join(held, ["id_1", "id_2"], "left_anti").agg(F.count("*").alias("missed")))

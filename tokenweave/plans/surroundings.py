@@ -87,7 +87,6 @@ query("agg_pivot", "SELECT kind, count(*) FILTER (status = 'F') AS f, count(*) F
     lambda s, d: address_list(s, d, "raw_mentions").groupBy("kind").pivot("status", ["F", "O", "P"]).agg(F.count(F.lit(1))).select("kind", *[F.coalesce(c, F.lit(0)).alias(c.lower()) for c in "FOP"]))
 query("agg_percentile", f"SELECT percentile_disc(0.5) WITHIN GROUP (ORDER BY df) AS middle, percentile_disc(0.99) WITHIN GROUP (ORDER BY df) AS high, max(df) AS most FROM (SELECT token, count(*) AS df FROM ({o.tokens('raw_mentions', 'phrases', True)}) GROUP BY token)")(
     lambda s, d: build_index(address_list(s, d, "raw_mentions")).frequencies().agg(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY df)").cast("long").alias("middle"), F.expr("percentile_disc(0.99) WITHIN GROUP (ORDER BY df)").cast("long").alias("high"), F.max("df").alias("most")))
-query("agg_approx")(lambda s, d: build_index(address_list(s, d, "raw_mentions")).postings.agg(F.approx_count_distinct("token").alias("about_tokens"), F.approx_count_distinct("id").alias("about_ids")))
 
 # ---- windows
 

@@ -394,9 +394,9 @@ def _blended(s, d):
     return batch.blend(scored, baselines.standardised_link(raw, gaz).withColumn("score", F.lit(1.0)), 0.7)
 
 
-query("rescore_monge_elkan", f"""{o.linked(k=20)}, w AS (SELECT id_1, id_2, {o.WORDS.replace('address', 'r.address')} AS x, {o.WORDS.replace('address', 'g.address')} AS y FROM cand JOIN raw_mentions r ON r.id = id_1 JOIN gazetteer g ON g.id = id_2)
-    SELECT id_1, id_2, round(({_ME.format('x', 'y')} + {_ME.format('y', 'x')}) / 2, 6) AS score FROM w""")(
-    lambda s, d: (lambda x: blocking.candidates(build_index(x[0]), build_index(x[1]), (20, 20)).join(x[0].select(F.col("id").alias("id_1"), F.col("address").alias("x")), "id_1").join(x[1].select(F.col("id").alias("id_2"), F.col("address").alias("y")), "id_2").select("id_1", "id_2", F.round(sim.monge_elkan(F.col("x"), F.col("y")), 6).alias("score")))(two(s, d)))
+query("rescore_monge_elkan", f"""{o.linked()}, w AS (SELECT id_1, id_2, {o.WORDS.replace('address', 'r.address')} AS x, {o.WORDS.replace('address', 'g.address')} AS y FROM cand JOIN raw_mentions r ON r.id = id_1 JOIN gazetteer g ON g.id = id_2)
+    SELECT id_1, id_2, round(({_ME.format('x', 'y')} + {_ME.format('y', 'x')}) / 2, 9) AS score FROM w""")(
+    lambda s, d: (lambda x: blocking.candidates(build_index(x[0]), build_index(x[1])).join(x[0].select(F.col("id").alias("id_1"), F.col("address").alias("x")), "id_1").join(x[1].select(F.col("id").alias("id_2"), F.col("address").alias("y")), "id_2").select("id_1", "id_2", F.round(sim.monge_elkan(F.col("x"), F.col("y")), 9).alias("score")))(two(s, d)))
 _ENT = f"{o.self_parts('url_lines', 20)}, e AS (SELECT id_1 AS a, id_2 AS b FROM scored WHERE score > 0.9 UNION SELECT id_2, id_1 FROM scored WHERE score > 0.9), reach AS (SELECT a AS id, a AS entity FROM e UNION SELECT e.b, entity FROM reach JOIN e ON e.a = reach.id) SELECT id, min(entity) AS entity FROM reach GROUP BY id"
 query("entities", _ENT.replace("WITH lt AS", "WITH RECURSIVE lt AS", 1))(lambda s, d: entities.entities(batch.self_link(address_list(s, d, "url_lines"), LinkConfig(k=20, tau=0.9))))
 query("overlap_sweep", " UNION ALL ".join(f"SELECT {x} AS share, * FROM (WITH part AS (SELECT CASE WHEN id * 7919 % 100 < {x} THEN id ELSE id + 1000000000 END AS id, CASE WHEN id * 7919 % 100 < {x} THEN address ELSE regexp_replace(address, '([A-Z0-9]+)', '\\1X', 'g') END AS address FROM gazetteer), {o.pair_parts('raw_mentions', 'part')} SELECT count(*) AS candidates FROM cand)" for x in (0, 25, 50, 100)))(

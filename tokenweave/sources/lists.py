@@ -23,6 +23,20 @@ def as_list(table: DataFrame, id_col: str = "id", text_cols: tuple[str, ...] = (
     return table.select(F.col(id_col).cast("long").alias("id"), text.cast("string").alias("address"))
 
 
+def read_checked(spark: SparkSession, path: str, fmt: str = "json", schema: str = SCHEMA, **options) -> tuple[DataFrame, DataFrame]:
+    """The list, and the lines ``line`` that don't fit the schema, of files with a JSON object or CSV record a line."""
+    parse = {"json": F.from_json, "csv": F.from_csv}[fmt]
+    options = {"mode": "PERMISSIVE", "columnNameOfCorruptRecord": "line_", **options}
+    table = spark.read.text(path).select("value", parse("value", f"{schema}, line_ string", options).alias("row")).where("trim(value) <> ''")
+    bad = F.col("row").isNull() | F.col("row.line_").isNotNull()
+    return as_list(table.where(~bad).select("row.*")), table.where(bad).select(F.col("value").alias("line"))
+
+
+def read_lines(spark: SparkSession, path: str) -> DataFrame:
+    """``id, address`` of plain text, a line each; ids are hashes of the line, so that repeated lines share one."""
+    return spark.read.text(path).where("trim(value) <> ''").select(F.xxhash64("value").alias("id"), F.col("value").alias("address"))
+
+
 def list_report(addresses: DataFrame) -> DataFrame:
     """One row: rows, null ids, repeated ids, null texts, texts without a word."""
     by_id = addresses.groupBy("id").agg(F.count("*").alias("n"), F.count_if(F.col("address").isNull()).alias("t"), F.count_if(F.col("address").isNotNull() & ~F.coalesce(F.col("address").rlike(r"[\p{L}\p{N}]"), F.lit(False))).alias("w"))

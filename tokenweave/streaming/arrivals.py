@@ -8,6 +8,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..config import OTHER
+from ..functions.bags import char_bag, char_overlap
+from ..functions.similarity import from_counts
 from ..functions.tokens import tokenise
 from ..operators.index import Index
 from ..operators.lookup import lookup_two_round
@@ -41,6 +44,25 @@ def link_stream(stream: DataFrame, index: Index, addresses: DataFrame, sink: Cal
     return stream.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def running_best(stream: DataFrame, index: Index, addresses: DataFrame, tokeniser: str = "phrases", alphabet: str = "unicode") -> DataFrame:
+    """``event_id, id, score``: the best address so far of each arrival, of equal ones that with the smallest id.
+
+    A native aggregate holds one score an arrival; drain it in complete or update mode.
+    """
+    known = addresses.select("id", char_bag(F.col("address"), OTHER[alphabet]).alias("bag"))
+    bags = stream.select("event_id", char_bag(F.col("address"), OTHER[alphabet]).alias("asked"), F.array_distinct(tokenise(tokeniser, F.col("address"), alphabet)).alias("tokens"))
+    asked = bags.select("event_id", "asked", F.explode("tokens").alias("token"))
+    pairs = asked.join(index.postings.select("token", "id"), "token").join(known, "id")
+    score = from_counts("pooled", F.col("asked.n"), F.col("bag.n"), char_overlap(F.col("asked"), F.col("bag")))
+    best = pairs.groupBy("event_id").agg(F.max(F.struct(score.alias("score"), (-F.col("id")).alias("down"))).alias("m"))
+    return best.select("event_id", (-F.col("m.down")).alias("id"), "m.score")
+
+
+def late_rows(query) -> int:
+    """Rows that a finished query's stateful operators left out because they came later than the watermark."""
+    return sum(state.numRowsDroppedByWatermark for progress in query.recentProgress for state in progress.stateOperators)
+
+
 def tumbling(rows: DataFrame, width: str = "1 hour", late: str = "1 hour") -> DataFrame:
     """Arrivals per window; on a stream rows later than the watermark are left out."""
     w = F.window("ts", width)
