@@ -138,7 +138,7 @@ query("html_text", r"SELECT page_id AS id, trim(regexp_replace(regexp_replace(ht
 query("agg_udaf", f"{o.linked(k=20)} SELECT id_1, median(score) AS middle FROM scored GROUP BY id_1")(lambda s, d: ref_link(s, d, k=20)[2].groupBy("id_1").agg(median_of("score").alias("middle")))
 
 
-@query("agg_approx", f"SELECT count(DISTINCT token) AS tokens, count(DISTINCT id) AS ids, true AS near FROM ({o.tokens('raw_mentions', 'phrases', True)})")
+@query("agg_approx_near", f"SELECT count(DISTINCT token) AS tokens, count(DISTINCT id) AS ids, true AS near FROM ({o.tokens('raw_mentions', 'phrases', True)})")
 def _(s, d):
     """Exact numbers, and whether the sketches come within three of their standard errors (2 %) of them."""
     p = build_index(address_list(s, d, "raw_mentions")).postings
