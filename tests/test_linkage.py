@@ -295,3 +295,25 @@ def test_scan_refuses_many_queries(spark, monkeypatch):
     raw = spark.createDataFrame([(k, "a b") for k in range(3)], lists.SCHEMA)
     with pytest.raises(ValueError):
         lookup.scan_lookup(raw, raw, "words")
+
+
+def test_ladder_without_pairs_and_without_links(spark):
+    """As in SQL: no scored pair gives no rung, and shares of no link are NaN."""
+    none = spark.createDataFrame([], "id_1 long, id_2 long, score double")
+    truth = spark.createDataFrame([(1, 1), (2, 2)], "id_1 long, id_2 long")
+    assert evaluate.ladder_report(none, truth).isEmpty() and select.pick_tau(evaluate.ladder_report(none, truth)).isEmpty()
+    low = spark.createDataFrame([(1, 1, 0.65), (2, 1, 0.5)], "id_1 long, id_2 long, score double")
+    got = {r.tau: r for r in evaluate.ladder_report(low, truth).collect()}
+    assert (got[0.6].linked, got[0.6].right, got[0.6].false_rate, got[0.6].recall) == (1, 1, 0, 0.5)
+    assert (got[0.7].linked, got[0.7].missed_rate, got[0.7].recall) == (0, 1, 0) and np.isnan(got[0.7].false_rate) and np.isnan(got[0.7].f)
+
+
+def test_costs_of_lists_without_a_rare_shared_token(spark):
+    """Where no token is rare enough, Spark drops the observed plan; the counts are 0 then."""
+    raw, gaz = address_list(spark, SMALL, "raw_mentions"), address_list(spark, SMALL, "gazetteer")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    try:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # joins of large lists, which meet by shuffles
+        assert tuple(evaluate.cost_report(raw, gaz, LinkConfig(k=(0, 0), tau=0.7)).first()) == (raw.count() * gaz.count(), 0, 0, 0)
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
