@@ -317,3 +317,17 @@ def test_costs_of_lists_without_a_rare_shared_token(spark):
         assert tuple(evaluate.cost_report(raw, gaz, LinkConfig(k=(0, 0), tau=0.7)).first()) == (raw.count() * gaz.count(), 0, 0, 0)
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+
+
+def test_key_report_counts_the_pairs_of_keys(spark):
+    """Several keys, repeated and null ids, empty keys, copies: as counted over the pairs themselves; and no pair is made."""
+    texts = ["1 building nation1 2000", "2 building nation2 2000", "building", "nation1", "x", "", None, "furniture nation2 2001"]
+    left = spark.createDataFrame([(k % 23, texts[k % 8], k % 9) for k in range(40)] + [(None, texts[0], 1), (3, texts[1], None)], "id long, address string, truth long")
+    right = spark.createDataFrame([(k % 11, texts[(3 * k) % 8]) for k in range(15)] + [(None, texts[0])], lists.SCHEMA)
+    for names in (("postcode",), ("postcode", "state"), ("postcode", "suburb", "state")):
+        keys = {n: blocking.address_keys()[n] for n in names}
+        pairs = blocking.key_pairs(left, right, keys).join(left.select(F.col("id").alias("id_1"), "truth"), "id_1")
+        want = pairs.agg(F.count("*"), F.count_if(F.col("truth") == F.col("id_2")), F.count_distinct("id_1")).first()
+        assert tuple(blocking.key_report(left, right, keys).first()) == tuple(want)
+    many = spark.range(3_000_000).select("id", F.lit("nation1 2000").alias("address"), F.col("id").alias("truth"))  # 9 * 10 ** 12 pairs
+    assert tuple(blocking.key_report(many, many, {n: blocking.address_keys()[n] for n in ("postcode", "state")}).first()) == (9 * 10**12, 3 * 10**6, 3 * 10**6)
