@@ -331,3 +331,19 @@ def test_key_report_counts_the_pairs_of_keys(spark):
         assert tuple(blocking.key_report(left, right, keys).first()) == tuple(want)
     many = spark.range(3_000_000).select("id", F.lit("nation1 2000").alias("address"), F.col("id").alias("truth"))  # 9 * 10 ** 12 pairs
     assert tuple(blocking.key_report(many, many, {n: blocking.address_keys()[n] for n in ("postcode", "state")}).first()) == (9 * 10**12, 3 * 10**6, 3 * 10**6)
+
+
+def test_drained_streams_stay_out_of_the_driver(spark, monkeypatch, tmp_path):
+    """The stream queries read files, not a table in the driver's memory; as many rows in every mode, none of an empty stream."""
+    from tokenweave.streaming import arrivals
+
+    monkeypatch.setattr(arrivals, "drain", None)
+    for name in ("stream_lookup", "stream_session"):
+        assert workloads.QUERIES[name](spark, SMALL).inputFiles()
+    schema = "event_id long, site_id long, ts timestamp, address string"
+    spark.range(10).selectExpr("id AS event_id", "id % 3 AS site_id", "TIMESTAMP '2024-01-01' AS ts", "'a b' AS address").repartition(4).write.parquet(str(tmp_path / "in"))
+    stream = arrivals.read_stream(spark, str(tmp_path / "in"), schema)
+    assert rows(arrivals.drain_to_files(stream, str(tmp_path / "a")), "event_id") == [(k,) for k in range(10)]
+    assert rows(arrivals.drain_to_files(stream.groupBy("site_id").count(), str(tmp_path / "b"), "complete"), "site_id", "count") == [(0, 4), (1, 3), (2, 3)]
+    (tmp_path / "none").mkdir()
+    assert arrivals.drain_to_files(arrivals.read_stream(spark, str(tmp_path / "none"), schema), str(tmp_path / "c")).isEmpty()
