@@ -686,3 +686,21 @@ def test_digests_of_queries(spark):
     assert all((removed[i].n_words, removed[i].n_removed, removed[i].kept_sha256) == (*w[:2], hashlib.sha256(w[2].encode()).hexdigest()) for i, w in want.items())
     near = sorted(map(tuple, queries.op2_ngram_jaccard(spark, sf).collect()))
     assert near == sorted(brute_components(docs))
+
+
+def test_toxicity_keeps_features_small(monkeypatch):
+    """Training keeps a token's buckets in 4 bytes each, not as Python numbers; the driver holds them for all words."""
+    made = []
+
+    class Seen(common.Kept):
+        def __init__(self, make, limit):
+            super().__init__(make, limit)
+            made.append(self)
+
+    monkeypatch.setattr(toxicity, "Kept", Seen)
+    rng = random.Random(2)
+    rows = [(k, prose(rng, 30) + (" vile" if k % 2 else ""), k % 2) for k in range(40)]
+    model = toxicity.train(rows, epochs=2)
+    kept = made[0]
+    assert len(kept) > 20 and all(len(v) == 4 * len(toxicity.features(t)) for t, v in kept.items())
+    assert model.scores(["so vile"])[0] > model.scores(["so"])[0]

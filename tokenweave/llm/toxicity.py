@@ -153,8 +153,8 @@ def train(rows: list[tuple], identity: tuple[str, ...] = IDENTITY_TERMS, neutral
     share = (labels.sum() + 0.5) / (len(rows) + 1)
     if len(set(labels.tolist())) < 2:
         return ToxicityModel(math.log(share / (1 - share)), {})
-    rng, cache = np.random.default_rng(seed), Kept(lambda token: tuple(map(bucket, features(token))), 10**6)
-    found = lambda tokens: np.unique(np.fromiter((f for t in tokens for f in cache[t]), np.int64))
+    rng, cache = np.random.default_rng(seed), Kept(lambda token: np.array(list(map(bucket, features(token))), np.int32).tobytes(), 10**6)  # bytes: the smallest form of some numbers
+    found = lambda tokens: np.unique(np.frombuffer(b"".join(cache[t] for t in tokens), np.int32))
     docs = [found(token_set(r[1])) for r in rows]
     names, others, pairs = frozenset(identity), (*identity, *neutral, *neutral), []
     for _, text, _ in rows:
@@ -177,7 +177,7 @@ def train(rows: list[tuple], identity: tuple[str, ...] = IDENTITY_TERMS, neutral
     bias, w = descend(docs, labels, pairs, l1 * len(rows), epochs, *settings)
     at = np.flatnonzero(np.abs(w) > 1e-4)
     kept = dict(zip(at.tolist(), w[at].tolist()))
-    return ToxicityModel(bias, {f: kept[bucket(f)] for t in cache if not kept.keys().isdisjoint(cache[t]) for f in features(t) if bucket(f) in kept})
+    return ToxicityModel(bias, {f: kept[bucket(f)] for t in cache if not kept.keys().isdisjoint(np.frombuffer(cache[t], np.int32).tolist()) for f in features(t) if bucket(f) in kept})
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_docs: int = 8000, **settings) -> ToxicityModel:
