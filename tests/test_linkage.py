@@ -347,3 +347,32 @@ def test_drained_streams_stay_out_of_the_driver(spark, monkeypatch, tmp_path):
     assert rows(arrivals.drain_to_files(stream.groupBy("site_id").count(), str(tmp_path / "b"), "complete"), "site_id", "count") == [(0, 4), (1, 3), (2, 3)]
     (tmp_path / "none").mkdir()
     assert arrivals.drain_to_files(arrivals.read_stream(spark, str(tmp_path / "none"), schema), str(tmp_path / "c")).isEmpty()
+
+
+def test_queries_that_the_index_cannot_tell_apart_are_answered_once(spark):
+    gaz = spark.createDataFrame([(k, f"{k} red street") for k in range(8)] + [(9, "red red")], lists.SCHEMA)
+    asked = spark.createDataFrame([(k, f"x{k} red red") for k in range(40)] + [(50, "x red"), (51, "x"), (52, None)], lists.SCHEMA)
+    index = build_index(gaz, "words")
+    classes, members = lookup.query_classes(index, lookup.query_bags(asked, "words"))
+    assert rows(classes, "class_id", "nq", "nk", "token", "tf_q") == [(0, 3, 2, "red", 2), (50, 2, 1, "red", 1)] and members.count() == 41
+    assert rows(lookup.lookup(index, asked, "words"), "query_id", "id", "score") == rows(lookup.scan_lookup(gaz, asked, "words"), "query_id", "id", "score")
+    assert rows(baselines.tfidf_lookup(index, asked, 9, 1), "query_id", "id", "rank") == [(k, 0, 1) for k in [*range(40), 50]]
+    assert rows(lookup.lookup_cost(index, asked, "words"), "query_id", "postings", "addresses") == [(k, 9, 9) for k in [*range(40), 50]] + [(51, 0, 0), (52, 0, 0)]
+
+
+def test_near_pairs_hold_the_nearest(spark, monkeypatch):
+    """Copies, ties and a vector without direction, over several blocks: every nearest one is there, not nearly all pairs are."""
+    monkeypatch.setattr(baselines, "QUERY_BLOCK", 7)
+    monkeypatch.setattr(baselines, "PRODUCTS", 64)
+    rng = np.random.default_rng(4)
+    made = [(k, [float(x) for x in (rng.integers(0, 3, 4) if k % 3 else [1, 2, 0, 1])]) for k in range(400)] + [(400, [0.0] * 4)]
+    df = spark.createDataFrame(made, "vec_id long, embedding array<double>").where("vec_id = 400 or exists(embedding, x -> x > 0)").repartition(3)
+    asked = df.where("vec_id % 20 = 0 and vec_id < 400")
+    known = {r.vec_id: np.array(r.embedding) for r in df.collect() if sum(r.embedding)}
+    got = rows(baselines.vector_neighbours(df.where("vec_id < 400"), asked), "query_id", "rank", "vec_id")
+    want = []
+    for q in sorted(r.vec_id for r in asked.collect()):
+        near = sorted((-round(float(known[q] @ v / np.sqrt((known[q] @ known[q]) * (v @ v))), 6), k) for k, v in known.items() if k != q)[:3]
+        want += [(q, i + 1, k) for i, (_, k) in enumerate(near)]
+    assert got == sorted(want)
+    assert baselines.near_pairs(df.select(F.col("vec_id").alias("id"), F.col("embedding").alias("v")), asked.select(F.col("vec_id").alias("query_id"), F.col("embedding").alias("q")), 3).count() < asked.count() * df.count() // 2
