@@ -30,8 +30,3 @@ def sample_lists(spark: SparkSession) -> tuple[DataFrame, DataFrame, DataFrame]:
     left, right, answers = sample_rows()
     address = "id long, address string"
     return spark.createDataFrame(left, address), spark.createDataFrame(right, address), spark.createDataFrame(answers, "id long, printed double, external string")
-
-
-def values_sql(rows: list[tuple], columns: str) -> str:
-    quoted = lambda x: "NULL" if x is None else "'" + x.replace("'", "''") + "'" if isinstance(x, str) else str(x)
-    return f"SELECT * FROM (VALUES {', '.join('(' + ', '.join(map(quoted, r)) + ')' for r in rows)}) AS t({columns})"
