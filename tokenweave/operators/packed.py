@@ -165,10 +165,12 @@ def _bags(table: pa.Table, blocks: int) -> Iterator[dict]:
     texts, ids = _column(table, "text"), _column(table, "id").to_numpy(zero_copy_only=False)
     length = pc.binary_length(texts).to_numpy(zero_copy_only=False)
     data = np.frombuffer("".join(texts.to_pylist()).encode("utf-8", "surrogatepass"), np.uint8)
-    row, wide = np.repeat(np.arange(len(texts)), length), len(ALPHABET) + 1
-    counts = np.bincount(row * wide + PLACES[data], minlength=len(texts) * wide).reshape(-1, wide)[:, :-1].astype(np.uint32)
-    beyond = np.unique(row[data > 127])
-    del row, data
+    wide = len(ALPHABET) + 1
+    key = np.repeat(np.arange(len(texts)) * wide, length)
+    key += PLACES[data]
+    counts = np.bincount(key, minlength=len(texts) * wide).reshape(-1, wide)[:, :-1].astype(np.uint32)
+    del key
+    beyond = np.flatnonzero(length != pc.utf8_length(texts).to_numpy(zero_copy_only=False))
     strings = texts.take(pa.array(beyond))
     points = np.frombuffer("".join(strings.to_pylist()).encode("utf-32-le", "surrogatepass"), "<u4").astype(np.int64)
     key = np.repeat(beyond, pc.utf8_length(strings).to_numpy(zero_copy_only=False)) << 21 | points
